@@ -2,8 +2,9 @@
 
 Symbols: the most frequent words, END (which also precedes a text), classes of the other head words and RARE.
 The model predicts a symbol from the two before it: r = C1*q(s1) + C2*q(s2), score(s) = r.q(s) + b(s), and
-P(word | two words before) = softmax over symbols * P(word | symbol), the latter from smoothed counts. The sum over all
-training words and one unknown word is 1.
+P(word | two words before) = softmax over symbols * P(word | symbol), the latter from smoothed counts
+(unknown words share as much of RARE as words that stand once). The sum over all training words and one
+unknown word is 1.
 
 Word classes come from random indexing: every word adds up the sign vectors of the texts it stands in, which
 tells languages and styles apart; the mean vectors are clustered. All counts, vectors and symbol trigrams are taken over
@@ -24,8 +25,8 @@ from pyspark.sql import functions as F
 from stseq.llm.common import stored
 from stseq.llm.textblock import Words, blocks, mix
 
-#: Single-word symbols, word classes, head words (bound of the broadcast), dimensions of sign vectors and of the model.
-SINGLES, CLASSES, HEAD, SIGNS, WIDTH = 62, 64, 1 << 18, 4, 32
+#: Single-word symbols, word classes, head words (bound of the broadcast) and their least count, dimensions of sign vectors and of the model.
+SINGLES, CLASSES, HEAD, LEAST_COUNT, SIGNS, WIDTH = 62, 64, 1 << 18, 3, 4, 32
 SYMBOLS = SINGLES + CLASSES + 2
 END, RARE = 0, SYMBOLS - 1
 NOISE, STEPS, BATCH, RATE = 12, 3000, 2048, 0.02
@@ -136,16 +137,20 @@ def _nearest(x: np.ndarray, centres: np.ndarray) -> np.ndarray:
     return np.argmin((centres**2).sum(1) - 2 * x @ centres.T, axis=1)
 
 
-def most_frequent(words: DataFrame, most: int = HEAD) -> DataFrame:
-    """The words above a count that at most ``most`` words reach, found from a histogram of counts (64 bins a doubling)."""
+def most_frequent(words: DataFrame, most: int = HEAD, least: int = LEAST_COUNT) -> tuple[DataFrame, int]:
+    """The words of at least ``least`` counts and above a count that at most ``most`` words reach, and how many words stand once.
+
+    Found from a histogram of counts (64 bins a doubling). Rarer words are RARE, so that its mass tells what new texts bring.
+    """
     level = F.floor(F.log2(F.col("n").cast("double")) * 64)
-    total, cut = 0, 0
-    for r in words.groupBy(level.alias("level")).count().orderBy(F.desc("level")).collect():
+    bins = words.groupBy(level.alias("level")).count().orderBy(F.desc("level")).collect()
+    total, cut = 0, math.floor(math.log2(least) * 64)
+    for r in bins:
         total += r["count"]
         if total > most:
-            cut = r["level"] + 1
+            cut = max(cut, r["level"] + 1)
             break
-    return words.where(level >= cut)
+    return words.where((level >= cut) & (F.col("n") >= least)), sum(r["count"] for r in bins if r["level"] == 0)
 
 
 def head_symbols(head: pa.Table) -> dict:
@@ -263,7 +268,8 @@ def train_model(train: DataFrame) -> tuple[dict, DataFrame]:
     counts = stored(count_words(train), "word-counts")
     words = counts.where(F.col("h") != int(_END_HASH))
     t = counts.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("tokens"), F.count("*").alias("v")).first()
-    head = head_symbols(most_frequent(words).toArrow())
+    frequent, once = most_frequent(words)
+    head = head_symbols(frequent.toArrow())
     rows = count_trigrams(train, head).toArrow()
     code, n = rows["code"].to_numpy().astype(np.int64), rows["n"].to_numpy().astype(np.float64)
     tokens, v = int(t["tokens"]), int(t["v"])
@@ -280,6 +286,8 @@ def train_model(train: DataFrame) -> tuple[dict, DataFrame]:
     mass = np.bincount(head["symbol"], head["n"], SYMBOLS)
     known_rare = v - (1 if ends else 0) - len(head["keys"])
     model["rare_mass"], model["rare_size"] = tokens - ends - float(head["n"].sum()), known_rare
+    # share of RARE for unknown words: how often training words were new (words that stand once)
+    model["unknown"] = min(0.95, (once + 0.5) / (model["rare_mass"] + 1)) if known_rare else 1.0
     within = (head["n"] + 0.5) / (mass[head["symbol"]] + 0.5 * size[head["symbol"]]) if len(head["n"]) else np.zeros(0)
     model["within"] = np.log10(within)
     model["base"] = np.log10((head["n"] + 0.5) / (tokens + 0.5 * (v + 1)))
@@ -336,11 +344,11 @@ def score_texts(docs: DataFrame, train_where=None, text: str = "text", id_col: s
     scored = stored(scored.withColumn("_row", F.monotonically_increasing_id()), "scored")
     # words outside the head: their counts by an exchange on the hash, then sums back to the rows
     base_of = F.lit(float(model["tokens"]) + 0.5 * (model["v"] + 1))
-    rare_of = F.lit(model["rare_mass"] + 0.5 * (model["rare_size"] + 1))
     c = F.coalesce(F.col("n"), F.lit(0)) + 0.5
+    rare_p = F.when(F.col("n") > 0, c * F.lit((1 - model["unknown"]) / (model["rare_mass"] + 0.5 * model["rare_size"] + 1e-300))).otherwise(F.lit(model["unknown"]))
     tail = scored.select("_row", F.explode("rare").alias("h")).join(counts.select("h", "n"), "h", "left")
     sums = tail.groupBy("_row").agg(
-        F.sum(F.when(F.col("n") > 0, 1).otherwise(0)).alias("_known"), F.sum(F.log10(c / base_of)).alias("_base"), F.sum(F.log10(c / rare_of)).alias("_score")
+        F.sum(F.when(F.col("n") > 0, 1).otherwise(0)).alias("_known"), F.sum(F.log10(c / base_of)).alias("_base"), F.sum(F.log10(rare_p)).alias("_score")
     )
     return scored.join(sums, "_row", "left").select(
         id_col, "held_out", "n_tokens", (F.col("n_known") + F.coalesce("_known", F.lit(0))).cast("long").alias("n_known"),
