@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, IntegerType, LongType, StringType, StructType
 
 from stseq.microcluster.features import diameter_agg, diameter_cf, diameter_pairwise, representative
 from stseq.sequences import next_index, parse_seq, seq_append, seq_hash, seq_last, seq_prefix, seq_text
@@ -18,7 +19,7 @@ __all__ = [
 ]
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def diameter_of(points: pd.Series) -> pd.Series:
     """Diameter of an array of coordinate arrays, by the pairwise definition (checks the additive form)."""
 
@@ -37,7 +38,7 @@ def mc_diameter(*coords: Column) -> Column:
     return diameter_agg(*coords)
 
 
-@F.udtf(returnType="cx bigint, cy bigint, ct bigint")
+@F.udtf(returnType=StructType().add("cx", LongType()).add("cy", LongType()).add("ct", LongType()))
 class neighbour_cells:  # noqa: N801
     """Cells that a source's neighbourhood touches (the native form explodes sequences)."""
 
@@ -49,7 +50,7 @@ class neighbour_cells:  # noqa: N801
                     yield cx + i, cy + j, ct + k
 
 
-@F.udtf(returnType="length int, prefix string")
+@F.udtf(returnType=StructType().add("length", IntegerType()).add("prefix", StringType()))
 class chain_prefixes:  # noqa: N801
     """Prefixes of a chain 'A -> B -> C' from two types on."""
 

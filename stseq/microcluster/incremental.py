@@ -57,7 +57,7 @@ def absorb(mc: DataFrame, new_events: DataFrame, spec: ClusterSpec) -> DataFrame
     """
     axes = list(AXES[: spec.dims])
     space, time, d = scales(new_events, spec)
-    scale = np.array([*space, time])
+    scale, columns, most = np.array([*space, time]), list(mc.columns), spec.K
 
     def run(old: pd.DataFrame, new: pd.DataFrame) -> pd.DataFrame:
         tile, kind = (old if len(old) else new)[["tile", "type"]].iloc[0]
@@ -69,7 +69,7 @@ def absorb(mc: DataFrame, new_events: DataFrame, spec: ClusterSpec) -> DataFrame
                 gap = np.array([((c - x) ** 2).sum() for c in centre])
                 at = int(np.argmin(gap))
                 grown = ss[at] + gap[at] * n[at] / (n[at] + 1)
-                if np.sqrt(2 * grown / n[at]) <= d and (spec.K is None or n[at] < spec.K):
+                if np.sqrt(2 * grown / n[at]) <= d and (most is None or n[at] < most):
                     centre[at] = centre[at] + (x - centre[at]) / (n[at] + 1)
                     n[at], ss[at] = n[at] + 1, grown
                     continue
@@ -79,7 +79,7 @@ def absorb(mc: DataFrame, new_events: DataFrame, spec: ClusterSpec) -> DataFrame
             cid.append(int(r.new_cid))
         back = np.array(centre).reshape(-1, len(scale)) * scale
         out = {"cid": cid, "type": kind, "n": n} | {a: back[:, k] for k, a in enumerate([*axes, "t"])}
-        return pd.DataFrame(out | {"ss": ss, "tile": tile})[mc.columns]
+        return pd.DataFrame(out | {"ss": ss, "tile": tile})[columns]
 
     fresh = new_events.select(
         "id", "type", *[F.col(a).cast("double").alias(a) for a in axes], F.col("t").cast("double").alias("t"),
