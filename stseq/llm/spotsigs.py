@@ -1,8 +1,8 @@
 """Spot signatures with DataFrame functions only: fingerprints of texts and pruned Jaccard near-duplicate search.
 
 A signature is the chain of the next ``CHAIN`` content words after a common word (an anchor); runs of anchors
-count as one. A text's fingerprint is its set of signature hashes. A text without anchors takes a chain from
-each of its words, one without letters or digits its own hash, the empty text nothing.
+count as one. A text's fingerprint is its set of signature hashes. A text where no content word follows an anchor
+takes a chain from each of its words, one without letters or digits its own hash, the empty text nothing.
 
 The search partitions sets by length: two sets reach a Jaccard similarity of t only if the smaller has at
 least t times the size of the larger, and share one of the rarest signatures (a prefix) of each.
@@ -40,18 +40,21 @@ def signature_hashes(text: Column, chain: int = CHAIN, anchors: str = ANCHORS) -
     plain = F.trim(F.regexp_replace(F.lower(text), r"[^\p{L}\p{N}]+", " "))
 
     def chains(tail: Column) -> Column:
+        # parts end in a space each, so joined they are words parted by single spaces
         def one(s: Column, i: Column) -> Column:
-            return F.hash(F.substring_index(F.trim(F.concat_ws(" ", s, *[F.get(tail, i + j) for j in range(1, chain)])), " ", chain))
+            return F.hash(F.trim(F.substring_index(F.concat_ws("", s, *[F.get(tail, i + j) for j in range(1, chain)]), " ", chain)))
 
         return F.transform(tail, one)
 
-    def of_parts(parts: Column, words: Column) -> Column:
-        return F.when(F.size(parts) > 1, _let(F.slice(parts, F.lit(2), F.greatest(F.size(parts) - 1, F.lit(0))), chains)).otherwise(_let(words, chains))
+    def of_tail(tail: Column, words: Column) -> Column:
+        return F.when(F.size(tail) > 0, chains(tail)).otherwise(_let(F.transform(words, lambda w: F.concat(w, F.lit(" "))), chains))
 
     def of_plain(p: Column) -> Column:
-        parts = F.split(F.concat(F.lit(" "), p, F.lit(" ")), f" (?:(?:{anchor}) )+")
+        # one anchor a match: a repeated group would take the stack of Java's regular expressions for each repetition
+        parts = F.split(F.concat(F.lit(" "), p, F.lit(" ")), f"(?<= )(?:{anchor}) ")
+        tail = _let(parts, lambda x: F.filter(F.slice(x, F.lit(2), F.greatest(F.size(x) - 1, F.lit(0))), lambda s: s != ""))
         none = F.when(text == "", F.array().cast("array<int>")).otherwise(F.array(F.hash(text)))
-        return F.when(p == "", none).otherwise(_let(parts, lambda x: of_parts(x, F.split(p, " "))))
+        return F.when(p == "", none).otherwise(_let(tail, lambda t: of_tail(t, F.split(p, " "))))
 
     return F.array_sort(F.array_distinct(_let(plain, of_plain)))
 

@@ -31,6 +31,7 @@ def corpus(spark, sf):
         (1000, None, None, None), (1001, "", "en", "src0"), (1002, " \t\n ", "en", "src0"), (1003, "### $$$", "en", "src0"), (1004, long, "en", "src0"),
         (1005, base, "fr", "src0"), (1005, base, "fr", "src0"), (1006, base + " zusatz", "fr", "src1"), (1007, "one", "en", None), (1008, "one two", "en", "src0"),
         (1009, "ONE\x0btwo\u00a0Three \u2003 \U0001f600", "en", "src0"), (1010, "Released under the MIT License.", "en", "src0"),
+        (1011, "the of " * 9000, "en", "src0"), (1012, "the", "en", "src0"),
     ]
     return [(i, t, l, s, None, "x", 1, "h", "m") for i, t, l, s in rows + odd]
 
@@ -164,12 +165,11 @@ def spot_set(text):
     if not ws:
         return {("raw", text)} if text else set()
     runs, out = [i for i, w in enumerate(ws) if w in anchors and not (i + 1 < len(ws) and ws[i + 1] in anchors)], set()
-    if not runs:
-        return {tuple(ws[i : i + 3]) for i in range(len(ws))}
     for i in runs:
         chain = [w for w in ws[i + 1 :] if w not in anchors][:3]
-        out.add(tuple(chain))
-    return out
+        if chain:
+            out.add(tuple(chain))
+    return out or {tuple(ws[i : i + 3]) for i in range(len(ws))}
 
 
 def test_spot_signatures(spark, corpus, docs, nothing):
@@ -256,6 +256,9 @@ def test_packing(spark, corpus, docs, nothing):
         assert cover == Counter({k: copies[r[0]] for k in range(len(ids))})
         for p in pieces:
             assert p["doc_tokens"] == len(ids) and p["ids_crc32"] == packing.check_crc(ids[p["start"] : p["start"] + p["length"]])
+    ids_of = packing.Ids(packing.tokenizer_path())
+    for t in ("A<|endoftext|>b <|ENDOFTEXT|> it\u2019S It'S", "E\u0301t\u00c9 \u0130 \u03a3\u03a3 x\u00a0y\u2003z \x1c q", "1,234 a\u0301 \u0301 b"):
+        assert ids_of.of(t).tolist() == tok.encode(t, add_special_tokens=False).ids
     total = 0
     for s in seqs.values():
         s.sort(key=lambda g: g["offset"])
