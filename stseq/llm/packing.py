@@ -10,12 +10,14 @@ the input and no group does.
 
 from __future__ import annotations
 
+import os
 import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -27,7 +29,7 @@ GROUP_SEQUENCES = 512
 FILLERS = 8
 VOCABULARY = "word_bpe_49k.json"
 #: Distinct words whose ids a worker keeps.
-CACHED_WORDS = 400_000
+CACHED_WORDS = 1_500_000
 
 
 def tokenizer_path(name: str = VOCABULARY) -> str:
@@ -37,29 +39,46 @@ def tokenizer_path(name: str = VOCABULARY) -> str:
 
 
 class Ids:
-    """Token ids of texts. This vocabulary's pre-tokenizer never joins what white space parts, so words are encoded once and kept."""
+    """Token ids of texts. This vocabulary lower-cases, and its pre-tokenizer never joins what white space parts, so each word is encoded once and kept."""
 
     def __init__(self, path: str):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[str, bytes] = {}
+        self.known: dict[bytes, bytes] = {}
+
+    @classmethod
+    def shared(cls, path: str) -> Ids:
+        """One for the worker process, so that its words outlive a task."""
+        if path not in _shared:
+            _shared[path] = cls(path)
+        return _shared[path]
 
     def of(self, text: str) -> np.ndarray:
-        if "<|" in text:  # special tokens may span or touch words
-            return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4")
-        words = text.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-        known = self.known
-        missing = [w for w in {*words} if w not in known]
-        if missing:
-            if len(known) > CACHED_WORDS:
-                known.clear()
-                missing = list({*words})
-            for at in range(0, len(missing), 4096):
-                part = missing[at : at + 4096]
-                for w, e in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False)):
-                    known[w] = np.array(e.ids, "<u4").tobytes()
-        return np.frombuffer(b"".join(map(known.__getitem__, words)), "<u4")
+        return self.of_all([text.encode()])[0]
+
+    def of_all(self, texts: list[bytes]) -> list[np.ndarray]:
+        """Ids of UTF-8 texts; the words not yet known are encoded together."""
+        plain = [b"<|" not in t for t in texts]  # else special tokens may touch words or depend on case
+        words = [t.lower().split() if p else () for t, p in zip(texts, plain)]
+        seen: set[bytes] = set().union(*words)
+        missing = [w for w in seen if w not in self.known]
+        if len(self.known) + len(missing) > CACHED_WORDS:
+            self.known.clear()
+            missing = list(seen)
+        for at in range(0, len(missing), 8192):
+            part = missing[at : at + 8192]
+            for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)):
+                self.known[w] = np.array(e.ids, "<u4").tobytes()
+        get = self.known.__getitem__
+        return [
+            np.frombuffer(b"".join(map(get, w)), "<u4") if p else np.array(self.tokenizer.encode(t.decode(), add_special_tokens=False).ids, "<u4")
+            for t, w, p in zip(texts, words, plain)
+        ]
+
+
+_shared: dict[str, Ids] = {}
 
 
 def cut_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = END_ID, text: str = "text", fillers: int = FILLERS) -> DataFrame:
@@ -72,11 +91,21 @@ def cut_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int
     name = name if name == "string" else "bigint"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids_of = Ids(path)
+        ids_of = Ids.shared(path)
         for b in batches:
             rows = []
-            for doc, text in zip(b.column(0).to_pylist(), b.column(1)):
-                ids = np.append(ids_of.of(text.as_py() or ""), np.uint32(end_id)).astype("<u4")
+            texts, size, chunks = b.column(1), 0, [0]
+            for i, n in enumerate(pc.fill_null(pc.binary_length(texts), 0).to_pylist()):  # about 4 MB at once
+                size += n
+                if size > 4 << 20:
+                    chunks.append(i + 1)
+                    size = 0
+            found = (
+                ids for a, z in zip(chunks, [*chunks[1:], len(texts)]) if z > a
+                for ids in ids_of.of_all([t or b"" for t in texts.slice(a, z - a).to_pylist()])
+            )
+            for doc, ids in zip(b.column(0).to_pylist(), found):
+                ids = np.append(ids, np.uint32(end_id)).astype("<u4")
                 for at in range(0, len(ids), capacity):
                     piece = ids[at : at + capacity].tobytes()
                     crc = zlib.crc32(piece)
@@ -87,7 +116,7 @@ def cut_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int
                 kinds = [kind, pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "start", "length", "doc_tokens", "crc", "ids"])
 
-    return docs.select(F.col("doc_id").cast(name), F.col(text)).mapInArrow(
+    return docs.select(F.col("doc_id").cast(name), F.col(text).cast("binary")).mapInArrow(
         run, f"doc_id {name}, start bigint, length bigint, doc_tokens bigint, crc bigint, ids binary"
     )
 
@@ -164,7 +193,7 @@ def sequences(docs: DataFrame, plan: DataFrame, path: str | None = None) -> Data
     where = path or tokenizer_path()
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        ids_of = Ids(where)
+        ids_of = Ids.shared(where)
         for b in batches:
             yield b.assign(ids=[
                 np.append(ids_of.of(t or ""), np.uint32(END_ID))[a : a + n].tolist() for t, a, n in zip(b["text"], b["start"], b["length"])
