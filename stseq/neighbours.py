@@ -62,8 +62,16 @@ def source_cells(df: DataFrame, spec: NeighbourhoodSpec) -> DataFrame:
     return out.withColumn("ct", F.explode(F.sequence(c, c + 1)))
 
 
-def pairs_grid(events: DataFrame, spec: NeighbourhoodSpec, targets: DataFrame | None = None) -> DataFrame:
-    """Equi-join on cells, then the exact test. Needs a time rule with two bounds."""
+#: Targets that are broadcast (their number is checked); more are joined by a shuffle of both sides.
+BROADCAST_TARGETS = 200_000
+
+
+def pairs_grid(events: DataFrame, spec: NeighbourhoodSpec, targets: DataFrame | None = None, broadcast_targets: int = BROADCAST_TARGETS) -> DataFrame:
+    """Equi-join on cells, then the exact test. Needs a time rule with two bounds.
+
+    The sources are the multiplied side, so they are never the broadcast one: few targets are sent to all tasks
+    and the sources stay where they are, else both sides are dealt by cell (and hot cells split by AQE).
+    """
     if not spec.bounded:
         raise ValueError(f"time rule {spec.time_rule} has no lower bound; use pairs_nested_loop")
     keys = [f"c{a}" for a in _cell_axes(spec)] + ["ct"]
@@ -71,8 +79,10 @@ def pairs_grid(events: DataFrame, spec: NeighbourhoodSpec, targets: DataFrame |
     src = source_cells(points, spec)
     src = src.select(*keys, F.struct(*points.columns).alias("src"))
     dst = _points(targets, spec) if targets is not None else points
+    few = dst.select("id").limit(broadcast_targets + 1).count() <= broadcast_targets
     dst = dst.select(*cell_columns(spec), F.struct(*dst.columns).alias("dst"))
-    return src.join(dst, keys).where(matches(spec)).select(*_pair_columns())
+    joined = src.join(F.broadcast(dst), keys) if few else src.join(dst.hint("merge"), keys)
+    return joined.where(matches(spec)).select(*_pair_columns())
 
 
 def pairs_sweep(events: DataFrame, spec: NeighbourhoodSpec, tile: float | None = None, targets: DataFrame | None = None, slice_t: float | None = None) -> DataFrame:
