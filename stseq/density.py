@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from stseq.model import NeighbourhoodSpec, SpaceSpec, as_points
 from stseq.neighbourhood import clipped_volume
-from stseq.neighbours import pairs_grid
+from stseq.neighbours import pairs_grid, torus_targets
 
 
 def type_counts(points: DataFrame) -> DataFrame:
@@ -46,7 +46,8 @@ def ratio_of(W: Column, size: Column, N: Column, spec: NeighbourhoodSpec, space:
 def ratio_matrix(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec, pairs: DataFrame | None = None, weights: DataFrame | None = None) -> DataFrame:
     """All links, those without pairs included: src_type, dst_type, W, src_n, dst_n, ratio.
 
-    With ``edge_correction='clip_box'`` each source's density is taken over its own clipped volume.
+    With ``edge_correction='clip_box'`` each source's density is taken over its own clipped volume, with ``'torus'``
+    neighbourhoods wrap around the space.
     """
     points = as_points(points)
     counts = type_counts(points)
@@ -60,6 +61,8 @@ def ratio_matrix(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec, p
         out = every.join(mean, ["src_type", "dst_type"], "left")
         ratio = F.coalesce("m", F.lit(0.0)) / F.col("src_n") / (F.col("dst_n") / F.lit(space.volume))
         return out.select("src_type", "dst_type", F.coalesce("W", F.lit(0)).alias("W"), "src_n", "dst_n", ratio.alias("ratio"))
+    if spec.edge_correction == "torus" and pairs is None:
+        pairs = pairs_grid(points, spec, torus_targets(points, spec, space))
     if weights is None:
         weights = link_weights(pairs if pairs is not None else pairs_grid(points, spec))
     out = every.join(weights, ["src_type", "dst_type"], "left").withColumn("W", F.coalesce("W", F.lit(0)))

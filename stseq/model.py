@@ -85,7 +85,7 @@ class NeighbourhoodSpec:
             raise ValueError("R and T must be positive")
         if self.shape not in SHAPES or self.metric not in METRICS or self.time_rule not in TIME_RULES:
             raise ValueError("unknown shape, metric or time rule")
-        if self.self_pairs not in ("exclude", "include") or self.edge_correction not in ("none", "clip_box"):
+        if self.self_pairs not in ("exclude", "include") or self.edge_correction not in ("none", "clip_box", "torus"):
             raise ValueError("unknown self_pairs or edge_correction")
         if self.shape == "cone" and self.time_rule not in ("after", "from_now"):
             raise ValueError("a cone needs a time rule with two bounds")

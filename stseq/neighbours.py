@@ -13,7 +13,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from stseq.model import PAIR_SCHEMA, NeighbourhoodSpec, as_points
+from stseq.model import PAIR_SCHEMA, NeighbourhoodSpec, SpaceSpec, as_points
 from stseq.neighbourhood import AXES, matches
 
 _PAIR = ("src_id", "src_type", "src_w", "dst_id", "dst_type", "dst_w")
@@ -85,6 +85,18 @@ def pairs_grid(events: DataFrame, spec: NeighbourhoodSpec, targets: DataFrame |
     return joined.where(matches(spec)).select(*_pair_columns())
 
 
+def torus_targets(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec) -> DataFrame:
+    """The points and their copies beyond the borders of a space that wraps around, as far as neighbourhoods reach."""
+    out = _points(points, spec)
+    reach = [(a, low, high, spec.R, spec.R) for a, (low, high) in zip(AXES[: spec.dims], space.sides())]
+    reach.append(("t", space.t0, space.t1, 0, spec.delay + spec.T))
+    for a, low, high, before, after in reach:
+        length = F.lit(high - low).cast(out.schema[a].dataType)
+        copies = F.array(F.col(a) - length, F.col(a), F.col(a) + length)
+        out = out.withColumn(a, F.explode(copies)).where((F.col(a) >= F.lit(low - before)) & (F.col(a) <= F.lit(high + after)))
+    return out
+
+
 def pairs_sweep(events: DataFrame, spec: NeighbourhoodSpec, tile: float | None = None, targets: DataFrame | None = None, slice_t: float | None = None) -> DataFrame:
     """Plane sweep: in each spatial tile and time slice, a window of length T slides over the targets sorted by time.
 

@@ -14,7 +14,7 @@ from stseq.microcluster import cluster
 from stseq.microcluster.features import diameter_cf, diameter_pairwise
 from stseq.model import ClusterSpec, MineOptions, NeighbourhoodSpec, SpaceSpec, as_points, clusters_as_points
 from stseq.sources import abnormal, tables
-from stseq.sources.planted import planted_from_events
+from stseq.sources.planted import planted_from_events, with_planted
 from stseq.storage import stored
 
 HOUR = tables.HOUR
@@ -46,6 +46,16 @@ def f3(spark: SparkSession, sf: str) -> DataFrame:
     return abnormal.abnormal_events(tables.observations_from_lineitem(spark, sf), drop=[("Balance", "Low")])
 
 
+def f4(spark: SparkSession, sf: str) -> DataFrame:
+    """The abnormal events and a three-step chain planted on every 97th order's high prices (whole cells and days)."""
+    obs = tables.observations_from_lineitem(spark, sf)
+    base = abnormal.abnormal_events(obs, drop=[("Balance", "Low")]).select("id", "type", "x", "y", "t")
+    high = base.where("type = 'HighPrice'")
+    order = Window.orderBy("t", "x", "y", "id")  # one row in a hundred, one in 97 of those
+    roots = high.where(F.pmod("id", F.lit(97)) == 0).select((F.row_number().over(order) - 1).cast("bigint").alias("i"), "x", "y", "t")
+    return with_planted(base, roots, length=3, cell=0.5, span=1, lag_unit=1, lags=29)
+
+
 def events_volume(spark: SparkSession, sf: str) -> SpaceSpec:
     return tables.events_space(f1(spark, sf))
 
@@ -332,6 +342,29 @@ def abnormal_events(spark: SparkSession, sf: str) -> DataFrame:
     return f3(spark, sf).select("type", "x", "y", "t", "value")
 
 
+def mine_abnormal_planted(spark: SparkSession, sf: str) -> DataFrame:
+    """Chains of abnormal events at a threshold that independent ones (all ratios below 1) do not reach: the planted ones, lengths 2, 2 and 3."""
+    points = stored(f4(spark, sf), "abnormal")
+    found = mining.mine_instances(points, F3, lattice_space(points), MineOptions(theta=THETA, max_length=4)).patterns
+    return mining.pattern_table(found)
+
+
+def _sweep(parameter: str, values: tuple) -> Query:
+    """Index size and compression of planted events against one parameter of the planted chains, for two diameters."""
+
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        rows = []
+        for v in values:
+            events = stored(planted_from_events(f1(spark, sf), **{parameter: v}), "planted")
+            n = events.count()
+            for d in (10, 20):
+                size = cluster(events, ClusterSpec(d=d, time_unit=HOUR))[0].count()
+                rows.append((v, d, n, size, n / size))
+        return spark.createDataFrame(rows, f"{parameter} int, d int, events bigint, index_size bigint, compression double")
+
+    return run
+
+
 def planted_recall(spark: SparkSession, sf: str) -> DataFrame:
     found = mining.mine_instances(f2(spark, sf), F1, events_volume(spark, sf), MineOptions(theta=THETA, max_length=4)).patterns
     planted = spark.createDataFrame([(["P1", "P2", "P3", "P4"],)], "seq array<string>")
@@ -492,6 +525,10 @@ def queries() -> dict[str, Query]:
         "mc_incremental_tiled": _incremental(ClusterSpec(d=20, time_unit=HOUR, tile=200, merge_borders=True)),
         "mc_index_sweep": mc_index_sweep,
         "mine_microclusters": flagship,
+        "mine_abnormal_planted": mine_abnormal_planted,
+        "sweep_start_instances": _sweep("modulus", (100, 50, 25)),
+        "sweep_chain_count": _sweep("chains", (1, 2, 4)),
+        "sweep_chain_length": _sweep("length", (2, 4, 6)),
         "abnormal_thresholds": abnormal_thresholds,
         "abnormal_events": abnormal_events,
         "event_projection_events": lambda s, d: f1(s, d),

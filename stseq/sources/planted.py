@@ -82,8 +82,13 @@ def planted_from_events(events: DataFrame, modulus: int = 50, length: int = 4, c
     Roots are the events whose id is a multiple of ``modulus``. Each row of a later step takes a hashed row of the step before, and
     lies up to ``span`` cells off in both axes and up to ``lags`` time units later.
     """
-    out = events.select("id", "type", "x", "y", "t")
     roots = events.where(F.col("id") % modulus == 0).select(F.expr(f"id div {modulus}").alias("i"), "x", "y", "t")
+    return with_planted(events, roots, length, chains, cell, span, lag_unit, lags)
+
+
+def with_planted(events: DataFrame, roots: DataFrame, length: int = 4, chains: int = 1, cell: float = 1, span: int = 7, lag_unit: int = 1_000_000, lags: int = 86_400) -> DataFrame:
+    """Events and the chains planted on ``roots`` (i, x, y, t; i gapless from 0)."""
+    out = events.select("id", "type", "x", "y", "t")
     n = roots.count()
     if not n:
         return out

@@ -290,6 +290,8 @@ def test_independent_types_and_edges(spark):
     spec, space = NeighbourhoodSpec(R=10, T=10), SpaceSpec(x0=-0.5, x1=100.5, y0=-0.5, y1=100.5, t0=-0.5, t1=100.5)
     plain = [r["ratio"] for r in density.ratio_matrix(df, spec, space).collect()]
     fixed = [r["ratio"] for r in density.ratio_matrix(df, replace(spec, edge_correction="clip_box"), space).where("ratio > 0").collect()]
+    wrapped = [r["ratio"] for r in density.ratio_matrix(df.withColumn("t", F.col("t").cast("double")), replace(spec, edge_correction="torus"), space).collect()]
+    assert abs(np.mean(wrapped) - 1) < 0.03
     assert np.mean(plain) < 1 and abs(np.mean(fixed) - 1) < abs(np.mean(plain) - 1)
     assert df.select(clipped_volume(spec, space).alias("v")).agg(F.max("v")).first()[0] <= spec.volume * (1 + 1e-9)
 
