@@ -17,6 +17,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from stseq.llm.common import stored
+
 #: Edits allowed, as a share of an item's length, and the shortest item (normalised bytes) that is looked for.
 BUDGET, SHORTEST = 0.05, 40
 #: Bytes of normalised benchmark text that may be broadcast.
@@ -144,7 +146,10 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, budget: float = BUDGET,
 
 
 def remove_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The rows whose text holds no item; the columns of ``docs``. The test runs where the rows are, without a join."""
+    """The rows whose text holds no item; the columns of ``docs``. The test runs where the rows are, without a join.
+
+    The rows are stored once, in small Arrow batches, since whole rows pass through Python.
+    """
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(benchmark_items(benchmark))
 
@@ -155,4 +160,4 @@ def remove_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
             yield b.filter(pa.array(keep))
 
     at = docs.columns.index("text")
-    return docs.mapInArrow(clean, docs.schema)
+    return stored(docs.mapInArrow(clean, docs.schema), "clean")

@@ -144,6 +144,7 @@ def with_rank_sum(sums: DataFrame) -> tuple[DataFrame, int]:
 
 
 def write_shards(docs: DataFrame, assigned: DataFrame, path: str) -> None:
-    """Write whole rows as one folder a shard, each in slot order (``doc_id`` must be unique)."""
-    rows = docs.join(assigned.select("doc_id", "shard", "slot", "curve"), "doc_id")
-    rows.repartitionByRange(F.col("shard"), F.col("slot")).sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+    """Write whole rows as one folder (hilbert_shard) a shard, each in slot order (``doc_id`` must be unique)."""
+    at = assigned.select("doc_id", F.col("shard").alias("hilbert_shard"), F.col("slot").alias("hilbert_slot"))
+    order = ["hilbert_shard", "hilbert_slot"]
+    docs.join(at, "doc_id").repartitionByRange(*order).sortWithinPartitions(*order).write.partitionBy("hilbert_shard").parquet(path)

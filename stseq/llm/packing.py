@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import os
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,8 +29,8 @@ LINEAR, QUADRATIC = 1.0, 1.0 / 512
 GROUP_SEQUENCES = 512
 FILLERS = 8
 VOCABULARY = "word_bpe_49k.json"
-#: Distinct words whose ids a worker keeps.
-CACHED_WORDS = 1_500_000
+#: Distinct words (met at least twice) whose ids a worker keeps.
+CACHED_WORDS = 250_000
 
 
 def tokenizer_path(name: str = VOCABULARY) -> str:
@@ -47,6 +48,7 @@ class Ids:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.known: dict[bytes, bytes] = {}
+        self.seen = bytearray(1 << 24)  # marks words met before, by hash
 
     @classmethod
     def shared(cls, path: str) -> Ids:
@@ -60,24 +62,56 @@ class Ids:
 
     def of_all(self, texts: list[bytes]) -> list[np.ndarray]:
         """Ids of UTF-8 texts; the words not yet known are encoded together."""
-        plain = [b"<|" not in t for t in texts]  # else special tokens may touch words or depend on case
-        words = [t.lower().split() if p else () for t, p in zip(texts, plain)]
-        seen: set[bytes] = set().union(*words)
-        missing = [w for w in seen if w not in self.known]
-        if len(self.known) + len(missing) > CACHED_WORDS:
+        if len(self.known) > CACHED_WORDS:
             self.known.clear()
-            missing = list(seen)
-        for at in range(0, len(missing), 8192):
-            part = missing[at : at + 8192]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)):
-                self.known[w] = np.array(e.ids, "<u4").tobytes()
-        get = self.known.__getitem__
+        plain = [b"<|" not in t for t in texts]  # else special tokens may touch words or depend on case
+        words = [t.lower().split() if p else [] for t, p in zip(texts, plain)]
+        get = self.known.get
+        found = [list(map(get, w)) for w in words]
+        short = [i for i, f in enumerate(found) if None in f]
+        if short:
+            new = self._learn({w for i in short for w, x in zip(words[i], found[i]) if x is None})
+            for i in short:
+                found[i] = [x if x is not None else new[w] for w, x in zip(words[i], found[i])]
         return [
-            np.frombuffer(b"".join(map(get, w)), "<u4") if p else np.array(self.tokenizer.encode(t.decode(), add_special_tokens=False).ids, "<u4")
-            for t, w, p in zip(texts, words, plain)
+            np.frombuffer(b"".join(f), "<u4") if p else np.array(self.tokenizer.encode(t.decode(), add_special_tokens=False).ids, "<u4")
+            for t, f, p in zip(texts, found, plain)
         ]
 
-
+    def _learn(self, missing: set[bytes]) -> dict[bytes, bytes]:
+        """Ids of words; those met in an earlier call as well are kept.
+
+        A word that ends in marks after a letter or digit is its ids and the marks'; apostrophes may bind, so those stay whole.
+        """
+        new: dict[bytes, bytes] = {}
+        halves, todo = [], set()
+        for w in missing:
+            core = w.rstrip(_MARKS)
+            if core and len(core) < len(w) and b"'" not in w and core[-1] > 47 and (core[-1] < 128 or core.decode()[-1].isalpha()):
+                tail = w[len(core) :]
+                halves.append((w, core, tail))
+                todo.update((core, tail))
+            else:
+                todo.add(w)
+        todo = [w for w in todo if w not in self.known]
+        for at in range(0, len(todo), 8192):
+            part = todo[at : at + 8192]
+            for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)):
+                new[w] = array("I", e.ids).tobytes()
+        for w, core, tail in halves:
+            new[w] = (new.get(core) or self.known[core]) + (new.get(tail) or self.known[tail])
+        seen, known, mask = self.seen, self.known, len(self.seen) - 1
+        for w, ids in new.items():
+            slot = hash(w) & mask
+            if seen[slot]:
+                known[w] = ids
+            else:
+                seen[slot] = 1
+        return new
+
+
+#: ASCII marks that may end a word, the apostrophe left out.
+_MARKS = bytes(c for c in range(33, 127) if not chr(c).isalnum() and c != 39)
 _shared: dict[str, Ids] = {}
 
 

@@ -14,7 +14,7 @@ LOWER[65:91] += 32
 _BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
 #: Bytes of text that one block holds at most, unless a single text is longer.
-BLOCK_BYTES = 1 << 20
+BLOCK_BYTES = 1 << 18
 _powers: dict[str, np.ndarray] = {}
 
 
@@ -116,3 +116,29 @@ def shingle_hashes(words: np.ndarray, first: np.ndarray, k: int) -> tuple[np.nda
         w = words[np.minimum(pos, len(words) - 1)] if len(words) else np.zeros(0, np.uint64)
         h = np.where(inside, mix(h * np.uint64(0x9E3779B97F4A7C15) + w), h)
     return h, at
+
+
+class Lookup:
+    """Position of 64-bit hashes in a sorted array: one probe of a direct table, binary search for the few it cannot tell."""
+
+    def __init__(self, keys: np.ndarray, bits: int = 21):
+        self.keys, self.shift = keys, np.uint64(64 - bits)
+        slot = (keys >> self.shift).astype(np.int64)
+        first = np.concatenate([[True], slot[1:] != slot[:-1]]) if len(keys) else np.zeros(0, bool)
+        self.table = np.full(1 << bits, -1, np.int32)
+        self.table[slot[first]] = np.flatnonzero(first)
+        self.crowded = np.bincount(slot, minlength=1 << bits) > 1
+
+    def __call__(self, h: np.ndarray) -> np.ndarray:
+        """Index, or -1."""
+        if not len(self.keys):
+            return np.full(len(h), -1, np.int64)
+        slot = (h >> self.shift).astype(np.int64)
+        at = self.table[slot].astype(np.int64)
+        hit = (at >= 0) & (self.keys[at] == h)
+        unsure = np.flatnonzero(~hit & self.crowded[slot])
+        at[~hit] = -1
+        if len(unsure):
+            p = np.minimum(np.searchsorted(self.keys, h[unsure]), len(self.keys) - 1)
+            at[unsure] = np.where(self.keys[p] == h[unsure], p, -1)
+        return at

@@ -239,6 +239,13 @@ def test_hilbert(spark, corpus, docs, nothing):
     assert hilbert.shard_documents(nothing).count() == 0 and hilbert.shard_documents(nothing, 24, "bytes").count() == 0
 
 
+def test_hilbert_files(spark, docs, tmp_path):
+    unique = docs.where("doc_id < 1004").withColumn("shard", docs["doc_id"])
+    hilbert.write_shards(unique, hilbert.shard_documents(unique, 4), str(tmp_path / "shards"))
+    back = spark.read.parquet(str(tmp_path / "shards"))
+    assert back.count() == unique.count() and {r["hilbert_shard"] for r in back.select("hilbert_shard").distinct().collect()} == {0, 1, 2, 3}
+
+
 def test_packing(spark, corpus, docs, nothing):
     from tokenizers import Tokenizer
 
@@ -257,7 +264,7 @@ def test_packing(spark, corpus, docs, nothing):
         for p in pieces:
             assert p["doc_tokens"] == len(ids) and p["ids_crc32"] == packing.check_crc(ids[p["start"] : p["start"] + p["length"]])
     ids_of = packing.Ids(packing.tokenizer_path())
-    for t in ("A<|endoftext|>b <|ENDOFTEXT|> it\u2019S It'S", "E\u0301t\u00c9 \u0130 \u03a3\u03a3 x\u00a0y\u2003z \x1c q", "1,234 a\u0301 \u0301 b"):
+    for t in ("A<|endoftext|>b <|ENDOFTEXT|> it\u2019S It'S", "E\u0301t\u00c9 \u0130 \u03a3\u03a3 x\u00a0y\u2003z \x1c q", "1,234 a\u0301 \u0301 b", "rend, rend! re\u00e9, x\u201d, \u201c... a1; 'tis dogs' !!! ?'s a_b_ \u0345, \u00bd) \u4e2d. e\u0301,"):
         assert ids_of.of(t).tolist() == tok.encode(t, add_special_tokens=False).ids
     total = 0
     for s in seqs.values():
