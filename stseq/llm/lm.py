@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stseq.llm.common import stored
-from stseq.llm.textblock import Words, blocks, mix
+from stseq.llm.textblock import Lookup, Words, blocks, mix
 
 #: Single-word symbols, word classes, head words (bound of the broadcast) and their least count, dimensions of sign vectors and of the model.
 SINGLES, CLASSES, HEAD, LEAST_COUNT, SIGNS, WIDTH = 62, 64, 1 << 18, 3, 4, 32
@@ -90,32 +90,6 @@ def count_words(train: DataFrame) -> DataFrame:
     return train.mapInArrow(run, schema).groupBy("h").agg(*sums)
 
 
-class Lookup:
-    """Position of 64-bit hashes in a sorted array: one probe of a direct table, binary search for the few it cannot tell."""
-
-    def __init__(self, keys: np.ndarray, bits: int = 21):
-        self.keys, self.shift = keys, np.uint64(64 - bits)
-        slot = (keys >> self.shift).astype(np.int64)
-        first = np.concatenate([[True], slot[1:] != slot[:-1]]) if len(keys) else np.zeros(0, bool)
-        self.table = np.full(1 << bits, -1, np.int32)
-        self.table[slot[first]] = np.flatnonzero(first)
-        self.crowded = np.bincount(slot, minlength=1 << bits) > 1
-
-    def __call__(self, h: np.ndarray) -> np.ndarray:
-        """Index, or -1."""
-        if not len(self.keys):
-            return np.full(len(h), -1, np.int64)
-        slot = (h >> self.shift).astype(np.int64)
-        at = self.table[slot].astype(np.int64)
-        hit = (at >= 0) & (self.keys[at] == h)
-        unsure = np.flatnonzero(~hit & self.crowded[slot])
-        at[~hit] = -1
-        if len(unsure):
-            p = np.minimum(np.searchsorted(self.keys, h[unsure]), len(self.keys) - 1)
-            at[unsure] = np.where(self.keys[p] == h[unsure], p, -1)
-        return at
-
-
 def cluster(points: np.ndarray, weights: np.ndarray, k: int, rounds: int = 15, seed: int = 7) -> np.ndarray:
     """Weighted k-means labels."""
     if not len(points):

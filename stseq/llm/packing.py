@@ -12,25 +12,24 @@ from __future__ import annotations
 
 import os
 import zlib
-from array import array
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stseq.llm.common import stored
+from stseq.llm.textblock import Lookup, Words, blocks
 
 CAPACITY, END_ID = 2048, 1
 LINEAR, QUADRATIC = 1.0, 1.0 / 512
 GROUP_SEQUENCES = 512
 FILLERS = 8
 VOCABULARY = "word_bpe_49k.json"
-#: Distinct words (met at least twice) whose ids a worker keeps.
-CACHED_WORDS = 250_000
+#: Distinct words whose ids a worker keeps (about 30 bytes each), and bytes of text that it takes at once.
+CACHED_WORDS, CHUNK_BYTES = 1_500_000, 8 << 20
 
 
 def tokenizer_path(name: str = VOCABULARY) -> str:
@@ -40,15 +39,20 @@ def tokenizer_path(name: str = VOCABULARY) -> str:
 
 
 class Ids:
-    """Token ids of texts. This vocabulary lower-cases, and its pre-tokenizer never joins what white space parts, so each word is encoded once and kept."""
+    """Token ids of texts. This vocabulary lower-cases, and its pre-tokenizer never joins what white space parts, so each word is encoded once and kept.
+
+    Words are known by a 64-bit hash; their ids lie one after another in one array.
+    """
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[bytes, bytes] = {}
-        self.seen = bytearray(1 << 24)  # marks words met before, by hash
+        vocabulary = self.tokenizer.get_vocab()
+        self.closes = np.zeros(max(vocabulary.values()) + 1, bool)  # ids that end a piece of a word
+        self.closes[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+        self._forget()
 
     @classmethod
     def shared(cls, path: str) -> Ids:
@@ -57,60 +61,89 @@ class Ids:
             _shared[path] = cls(path)
         return _shared[path]
 
+    def _forget(self) -> None:
+        self.keys, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.flat, self.find = np.zeros(0, "<u4"), Lookup(np.zeros(0, np.uint64))
+
     def of(self, text: str) -> np.ndarray:
-        return self.of_all([text.encode()])[0]
-
-    def of_all(self, texts: list[bytes]) -> list[np.ndarray]:
-        """Ids of UTF-8 texts; the words not yet known are encoded together."""
-        if len(self.known) > CACHED_WORDS:
-            self.known.clear()
-        plain = [b"<|" not in t for t in texts]  # else special tokens may touch words or depend on case
-        words = [t.lower().split() if p else [] for t, p in zip(texts, plain)]
-        get = self.known.get
-        found = [list(map(get, w)) for w in words]
-        short = [i for i, f in enumerate(found) if None in f]
-        if short:
-            new = self._learn({w for i in short for w, x in zip(words[i], found[i]) if x is None})
-            for i in short:
-                found[i] = [x if x is not None else new[w] for w, x in zip(words[i], found[i])]
-        return [
-            np.frombuffer(b"".join(f), "<u4") if p else np.array(self.tokenizer.encode(t.decode(), add_special_tokens=False).ids, "<u4")
-            for t, f, p in zip(texts, found, plain)
-        ]
-
-    def _learn(self, missing: set[bytes]) -> dict[bytes, bytes]:
-        """Ids of words; those met in an earlier call as well are kept.
-
-        A word that ends in marks after a letter or digit is its ids and the marks'; apostrophes may bind, so those stay whole.
+        return self.of_column(pa.array([text.encode()], pa.binary()))[0]
+
+    def of_column(self, texts: pa.Array) -> list[np.ndarray]:
+        """Ids of a binary column of UTF-8 texts (null: none); its unknown words are encoded together."""
+        if len(self.keys) > CACHED_WORDS:
+            self._forget()
+        parts, new, special = [], {}, set()
+        for start, _, data, offsets in blocks(texts):
+            w = Words(data, offsets)
+            h = w.hashes()
+            at = self.find(h)
+            miss = np.flatnonzero(at < 0)
+            if len(miss):
+                unique, first = np.unique(h[miss], return_index=True)
+                for k, i in zip(unique.tolist(), miss[first].tolist()):
+                    if k not in new:
+                        new[k] = w.data[w.starts[i] : w.ends[i]].tobytes()
+            odd = np.flatnonzero((data[:-1] == 60) & (data[1:] == 124))  # "<|" may begin a special token, which depends on case
+            special.update((np.searchsorted(offsets, odd, "right") - 1 + start).tolist())
+            parts.append((h, at, miss, w.first))
+        if new:
+            self._add(np.array(list(new), np.uint64), self._encoded(list(new.values())))
+        out: list[np.ndarray] = []
+        for h, at, miss, first in parts:
+            if new:  # the table was built anew
+                at = self.find(h)
+            n = self.size[at]
+            ends = np.concatenate([[0], np.cumsum(n)])
+            ids = self.flat[np.repeat(self.at[at] - ends[:-1], n) + np.arange(ends[-1])]
+            edge = ends[first].tolist()
+            out += [ids[a:z] for a, z in zip(edge, edge[1:])]
+        for i in special:
+            out[i] = np.array(self.tokenizer.encode(texts[i].as_py().decode(), add_special_tokens=False).ids, "<u4")
+        return out
+
+    def _add(self, keys: np.ndarray, ids: list[np.ndarray]) -> None:
+        size = np.array([len(x) for x in ids], np.int64)
+        at = len(self.flat) + np.cumsum(size) - size
+        self.flat = np.concatenate([self.flat, *ids]).astype("<u4")
+        keys, at, size = np.concatenate([self.keys, keys]), np.concatenate([self.at, at]), np.concatenate([self.size, size])
+        order = np.argsort(keys)
+        self.keys, self.at, self.size = keys[order], at[order], size[order]
+        self.find = Lookup(self.keys)
+
+    def _encoded(self, words: list[bytes]) -> list[np.ndarray]:
+        """Ids of each word. Words of letters, with or without ASCII marks after them, go joined by spaces: their pieces (one or
+        two) are closed by ids that tell so, and if their number does not add up each word is encoded alone.
         """
-        new: dict[bytes, bytes] = {}
-        halves, todo = [], set()
-        for w in missing:
+        out: list[np.ndarray | None] = [None] * len(words)
+        joined, alone = [], []
+        for i, w in enumerate(words):
             core = w.rstrip(_MARKS)
-            if core and len(core) < len(w) and b"'" not in w and core[-1] > 47 and (core[-1] < 128 or core.decode()[-1].isalpha()):
-                tail = w[len(core) :]
-                halves.append((w, core, tail))
-                todo.update((core, tail))
+            if core.isalpha() or core.decode().isalpha():
+                joined.append((i, 1 if len(core) == len(w) else 2))
             else:
-                todo.add(w)
-        todo = [w for w in todo if w not in self.known]
-        for at in range(0, len(todo), 8192):
-            part = todo[at : at + 8192]
-            for w, e in zip(part, self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)):
-                new[w] = array("I", e.ids).tobytes()
-        for w, core, tail in halves:
-            new[w] = (new.get(core) or self.known[core]) + (new.get(tail) or self.known[tail])
-        seen, known, mask = self.seen, self.known, len(self.seen) - 1
-        for w, ids in new.items():
-            slot = hash(w) & mask
-            if seen[slot]:
-                known[w] = ids
-            else:
-                seen[slot] = 1
-        return new
-
-
-#: ASCII marks that may end a word, the apostrophe left out.
+                alone.append(i)
+        for a in range(0, len(joined), _JOINED):
+            part = joined[a : a + _JOINED]
+            ids = np.array(self._encode([b" ".join([words[i] for i, _ in part]).decode()])[0].ids, "<u4")
+            closed = np.flatnonzero(self.closes[ids]) + 1
+            last = np.cumsum([k for _, k in part])
+            if last[-1] != len(closed):
+                alone += [i for i, _ in part]
+                continue
+            ends = closed[last - 1].tolist()
+            for (i, _), x, y in zip(part, [0, *ends], ends):
+                out[i] = ids[x:y]
+        for i, e in zip(alone, self._encode([words[i].decode() for i in alone])):
+            out[i] = np.array(e.ids, "<u4")
+        return out
+
+    def _encode(self, texts: list[str]) -> list:
+        return self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)
+
+
+#: New words that are encoded as one text.
+_JOINED = 8192
+#: ASCII marks that may end a word, the apostrophe (which may bind) left out.
 _MARKS = bytes(c for c in range(33, 127) if not chr(c).isalnum() and c != 39)
 _shared: dict[str, Ids] = {}
 
@@ -128,16 +161,8 @@ def cut_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int
         ids_of = Ids.shared(path)
         for b in batches:
             rows = []
-            texts, size, chunks = b.column(1), 0, [0]
-            for i, n in enumerate(pc.fill_null(pc.binary_length(texts), 0).to_pylist()):  # about 4 MB at once
-                size += n
-                if size > 4 << 20:
-                    chunks.append(i + 1)
-                    size = 0
-            found = (
-                ids for a, z in zip(chunks, [*chunks[1:], len(texts)]) if z > a
-                for ids in ids_of.of_all([t or b"" for t in texts.slice(a, z - a).to_pylist()])
-            )
+            texts = b.column(1)
+            found = (ids for start, to, _, _ in blocks(texts, CHUNK_BYTES) for ids in ids_of.of_column(texts.slice(start, to - start)))
             for doc, ids in zip(b.column(0).to_pylist(), found):
                 ids = np.append(ids, np.uint32(end_id)).astype("<u4")
                 for at in range(0, len(ids), capacity):
