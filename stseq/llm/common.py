@@ -90,7 +90,8 @@ def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst", m
     """Smallest reachable node for every node of an undirected edge list of longs: columns node, component.
 
     Alternates two star operations (link larger neighbours to the smallest neighbour, then smaller ones)
-    until the edge set stops changing; each round is stored in the shared folder.
+    until the edge set stops changing; each round is stored in the shared folder. The least neighbours are stored
+    too, so that both sides of a join come from an exchange and a node with very many edges can be split over tasks.
     """
     spark = edges.sparkSession
     now = (
@@ -106,8 +107,10 @@ def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst", m
         before = digest
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+        low = stored(low, "least")
         large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        down = large.groupBy("u").agg(F.min("v").alias("m"))
+        large = stored(large, "large")
+        down = stored(large.groupBy("u").agg(F.min("v").alias("m")), "least")
         small = (
             large.join(down, "u")
             .select(F.explode(F.array(F.struct(F.col("v").alias("a"), F.col("m").alias("b")), F.struct(F.col("u").alias("a"), F.col("m").alias("b")))).alias("e"))
