@@ -18,6 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stseq.llm.common import stored
+from stseq.llm.textblock import give_back
 
 #: Edits allowed, as a share of an item's length, and the shortest item (normalised bytes) that is looked for.
 BUDGET, SHORTEST = 0.05, 40
@@ -158,6 +159,7 @@ def remove_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         for b in batches:
             keep = [not items.find(normalise((t.as_py() or "").encode())) for t in b.column(at)]
             yield b.filter(pa.array(keep))
+        give_back()
 
     at = docs.columns.index("text")
     return stored(docs.mapInArrow(clean, docs.schema), "clean")

@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from stseq.llm.common import checked_small, stored
 from stseq.llm.decontam import _CLEAN
-from stseq.llm.textblock import Words, blocks
+from stseq.llm.textblock import Words, blocks, give_back
 
 #: Labelled rows that the text model is fitted on (expected bound) and languages it knows at most.
 SAMPLE_ROWS, MOST_LANGUAGES = 10_000, 64
@@ -92,6 +92,7 @@ def with_text_evidence(rows: DataFrame, model: dict, text: str = "text") -> Data
                 known[start:to] = (hits[w.first[1:]] - hits[w.first[:-1]]) / np.maximum(n[start:to], 1)
             lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (b.num_rows + 1) * k, k), pa.int32()), pa.array(ll.ravel()))
             yield pa.RecordBatch.from_arrays([*b.columns, lists, pa.array(n), pa.array(known)], names=[*b.schema.names, "ll", "n_words", "known"])
+        give_back()
 
     return rows.mapInArrow(run, schema)
 

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from stseq.llm.common import stored
-from stseq.llm.textblock import Lookup, Words, blocks
+from stseq.llm.textblock import Lookup, Words, blocks, give_back
 
 CAPACITY, END_ID = 2048, 1
 LINEAR, QUADRATIC = 1.0, 1.0 / 512
@@ -29,7 +29,7 @@ GROUP_SEQUENCES = 512
 FILLERS = 8
 VOCABULARY = "word_bpe_49k.json"
 #: Distinct words whose ids a worker keeps (about 30 bytes each), and bytes of text that it takes at once.
-CACHED_WORDS, CHUNK_BYTES = 1_500_000, 8 << 20
+CACHED_WORDS, CHUNK_BYTES = 1_000_000, 4 << 20
 
 
 def tokenizer_path(name: str = VOCABULARY) -> str:
@@ -62,7 +62,7 @@ class Ids:
         return _shared[path]
 
     def _forget(self) -> None:
-        self.keys, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.keys, self.at, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int32), np.zeros(0, np.int32)
         self.flat, self.find = np.zeros(0, "<u4"), Lookup(np.zeros(0, np.uint64))
 
     def of(self, text: str) -> np.ndarray:
@@ -102,8 +102,8 @@ class Ids:
         return out
 
     def _add(self, keys: np.ndarray, ids: list[np.ndarray]) -> None:
-        size = np.array([len(x) for x in ids], np.int64)
-        at = len(self.flat) + np.cumsum(size) - size
+        size = np.array([len(x) for x in ids], np.int32)
+        at = (len(self.flat) + np.cumsum(size) - size).astype(np.int32)
         self.flat = np.concatenate([self.flat, *ids]).astype("<u4")
         keys, at, size = np.concatenate([self.keys, keys]), np.concatenate([self.at, at]), np.concatenate([self.size, size])
         order = np.argsort(keys)
@@ -174,6 +174,7 @@ def cut_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int
                 cols = list(zip(*rows))
                 kinds = [kind, pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=["doc_id", "start", "length", "doc_tokens", "crc", "ids"])
+        give_back()
 
     return docs.select(F.col("doc_id").cast(name), F.col(text).cast("binary")).mapInArrow(
         run, f"doc_id {name}, start bigint, length bigint, doc_tokens bigint, crc bigint, ids binary"
