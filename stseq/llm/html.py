@@ -1,7 +1,8 @@
 """Main-text extraction by deducing each host's page template from token occurrence vectors.
 
 A page is a stream of tokens: tags in their role (name, class, id and the path of open elements) and text
-nodes in theirs. Over the pages of one host every token has an occurrence vector (its count on each page).
+nodes in theirs. Over the distinct pages of one host (copies and repeated rows are one page) every token has an
+occurrence vector (its count on each page). Text of a content element is always data, however many pages share it.
 Tokens with equal vectors form an equivalence class; a class is valid if it is on enough pages and its tags
 open and close within each other (a role holds its path, so members nest by it). Valid classes make the
 template; text that is not part of it fills the template's slots. The main text is what the slots hold inside the
@@ -15,6 +16,7 @@ with a third of all pages is pre-aggregated in every task.
 from __future__ import annotations
 
 import html as entities
+import json
 import re
 from collections import Counter
 from collections.abc import Iterator
@@ -137,14 +139,14 @@ def _key(kind: str, role: str, text: str = "") -> int:
 
 
 def page_tokens(page: str) -> tuple[Counter, dict[int, tuple[str, int]]]:
-    """Count of each token key on the page, and (role, characters) of what text keys stand for."""
+    """Count of each token key on the page, and (role, characters) of what keys stand for; text that is data or off is left out."""
     counts: Counter = Counter()
     about: dict[int, tuple[str, int]] = {}
     for kind, e, text in walk(page):
         if kind in ("open", "close"):
             k = _key(kind, e.role)
             about.setdefault(k, (e.role, 0))
-        elif kind == "text" and (text := clean(text)):
+        elif kind == "text" and not (e.off or e.content) and (text := clean(text)):
             k = _key("text", e.role, text)
             about.setdefault(k, ("", len(text)))
         else:
@@ -167,7 +169,7 @@ def main_blocks(page: str, template: frozenset[int] | set[int], content: bool |
 
     for kind, e, text in walk(page):
         if kind == "text":
-            if e.off or (template and _key("text", e.role, clean(text)) in template):
+            if e.off or (template and not e.content and _key("text", e.role, clean(text)) in template):
                 continue
             if not parts:
                 inside = e.content
@@ -183,25 +185,34 @@ def main_blocks(page: str, template: frozenset[int] | set[int], content: bool |
 
 
 def deduce_templates(pages: DataFrame, support: float = SUPPORT, least: int = LEAST_PAGES) -> DataFrame:
-    """Tokens of the valid equivalence classes of each host: host, token, class_id, role (null for text), pages, host_pages.
+    """Tokens of the valid equivalence classes of each host: host, token, class_id, role (null for text), pages, host_pages (both distinct).
 
     A class of tags is valid with both an opening and a closing token; a class of text alone is valid too
-    (fixed wording). Classes below the support are data of the slots, not template.
+    (fixed wording outside of content elements). Classes below the support are data of the slots, not template.
     """
 
+    def tokenise(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            got: dict[tuple[str, int], str] = {}
+            for host, page in zip(f["host"], f["html"]):
+                mark = xxhash.xxh64_intdigest((page or "").encode("utf-8", "replace"), 7) - (1 << 63)
+                if (host, mark) not in got:
+                    counts, about = page_tokens(page or "")
+                    got[host, mark] = json.dumps([(k, n, about[k][0]) for k, n in counts.items()])
+            if got:
+                yield pd.DataFrame({"host": [h for h, _ in got], "mark": [m for _, m in got], "tokens": list(got.values())})
+
     def count(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             # host, token -> pages, occurrences, vector fingerprint, role; host rows (token 0) count its pages
             got: dict[tuple[str, int], list] = {}
-            for host, page_id, page in zip(f["host"], f["page_id"], f["html"]):
-                mark = xxhash.xxh64_intdigest(str(page_id), 7) & 0xFFFFFFFF
-                counts, about = page_tokens(page or "")
+            for host, mark, tokens in zip(f["host"], f["mark"], f["tokens"]):
                 got.setdefault((host, 0), [0, 0, 0, ""])[0] += 1
-                for k, n in counts.items():
-                    row = got.setdefault((host, k), [0, 0, 0, about[k][0]])
+                for k, n, role in json.loads(tokens):
+                    row = got.setdefault((host, k), [0, 0, 0, role])
                     row[0] += 1
                     row[1] += n
-                    row[2] = (row[2] + n * mark) & ((1 << 62) - 1)
+                    row[2] = (row[2] + n * (mark & 0xFFFFFFFF)) & ((1 << 62) - 1)
             if got:
                 keys = list(got)
                 yield pd.DataFrame({
@@ -209,7 +220,9 @@ def deduce_templates(pages: DataFrame, support: float = SUPPORT, least: int = LE
                     "seen": [v[1] for v in got.values()], "vector": [v[2] for v in got.values()], "role": [v[3] for v in got.values()],
                 })
 
-    rows = pages.select("host", "page_id", "html").mapInPandas(count, "host string, token bigint, pages bigint, seen bigint, vector bigint, role string")
+    # each distinct page once: only its token counts are shuffled, not the page
+    distinct = pages.select("host", "html").mapInPandas(tokenise, "host string, mark bigint, tokens string").dropDuplicates(["host", "mark"])
+    rows = distinct.mapInPandas(count, "host string, token bigint, pages bigint, seen bigint, vector bigint, role string")
     tokens = rows.groupBy("host", "token").agg(
         F.sum("pages").alias("pages"), F.sum("seen").alias("seen"), F.sum(F.col("vector").cast("decimal(38,0)")).alias("vector"), F.max("role").alias("role")
     )

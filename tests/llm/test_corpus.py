@@ -146,6 +146,14 @@ def test_html_template_and_edges(spark):
     assert sum(r["role"] is None for r in classes) == 1 and all(r["pages"] == 8 for r in classes)
 
 
+def test_html_copies_and_shared_content_stay(spark):
+    plain, article = "<body><div><p>One story</p></div></body>", "<body><p>Fixed</p><article><h1>Daily news</h1><p>Text {}</p></article></body>"
+    rows = [(i, "http://copies.org/1", plain) for i in range(7)] + [(6, "http://copies.org/1", plain)]
+    rows += [(10 + i, "http://same.org/1", article.format(0)) for i in range(8)] + [(20 + i, "http://shared.org/1", article.format(i)) for i in range(8)]
+    got = sorted((r["page_id"], r["text"]) for r in html.extract_main(spark.createDataFrame(rows, "page_id bigint, url string, html string").repartition(3)).collect())
+    assert got == sorted([(r[0], "One story") for r in rows[:8]] + [(10 + i, "Daily news\n\nText 0") for i in range(8)] + [(20 + i, f"Daily news\n\nText {i}") for i in range(8)])
+
+
 def test_licenses(spark, docs, nothing, sf):
     found = {(r["doc_id"], r["license"]) for r in licenses.scan_licenses(read_table(spark, "/root/testdata/sf0.01", "documents")).collect()}
     lines = {
