@@ -5,6 +5,7 @@ mean is the shrunk rate of its registered domain, whose own prior mean is the sh
 and that of the global rate; each prior weighs ``strength`` pages, estimated from the
 spread of the hosts' rates (moments of the beta-binomial). A host is blocked if the lower bound of
 its posterior (mean less ``z`` standard deviations) is above ``limit``: only what the evidence makes sure is cut.
+A host without labels is judged by its prior alone: of its domain, else its suffix, else the global rate.
 """
 
 from __future__ import annotations
@@ -12,6 +13,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from stseq.llm.common import checked_small, stored
+
 #: Explicit rules: (verdict, host and path prefix).
 RULES = (("allow", "org/"), ("block", "example.org/es/"), ("block", "example.org/en/1"), ("allow", "com/fr/"), ("block", "com/de/"))
 LEAST, MOST, Z, LIMIT = 1.0, 1000.0, 1.645, 0.5
@@ -63,38 +66,44 @@ def prior_strength(hosts: DataFrame) -> tuple[float, float]:
     return rate, min(MOST, max(LEAST, (1 - rho) / rho)) if rho > 0 else MOST
 
 
-def host_reputation(outcomes: DataFrame, strength: float | None = None) -> DataFrame:
+def host_reputation(outcomes: DataFrame, strength: float | None = None, others: DataFrame | None = None) -> DataFrame:
     """Posterior of each host's bad rate from labelled outcomes (host, bad 0/1; rows with a null are left out).
 
     Columns: host, pages, bad_pages, prior_mean, mean, sd. ``strength`` None: estimated from the hosts' spread.
+    ``others`` (host): further hosts to judge; those without labels have 0 pages and their prior as posterior.
     Partial counts are taken before each exchange, so a host with a third of all rows is a handful of rows.
     """
-    hosts = (
-        outcomes.where("host is not null and bad is not null").groupBy("host").agg(F.count("*").alias("n"), F.sum("bad").alias("k"))
-        .select("host", registered_domain(F.col("host")).alias("domain"), suffix(F.col("host")).alias("suffix"), "n", "k")
-    )
-    rate, found = prior_strength(hosts)
+    labelled = stored(outcomes.where("host is not null and bad is not null").groupBy("host").agg(F.count("*").alias("n"), F.sum("bad").alias("k")), "labelled-hosts")
+    rate, found = prior_strength(labelled)
     k0 = F.lit(float(strength if strength is not None else found))
-    domains = hosts.groupBy("domain", "suffix").agg(F.sum("n").alias("dn"), F.sum("k").alias("dk"))
+    levels = [registered_domain(F.col("host")).alias("domain"), suffix(F.col("host")).alias("suffix")]
+    domains = labelled.select(*levels, "n", "k").groupBy("domain", "suffix").agg(F.sum("n").alias("dn"), F.sum("k").alias("dk"))
     s = domains.groupBy("suffix").agg(F.sum("dn").alias("sn"), F.sum("dk").alias("sk"))
-    s = s.select("suffix", ((F.col("sk") + k0 * F.lit(rate)) / (F.col("sn") + k0)).alias("s_mean"))
+    s = checked_small(s.select("suffix", ((F.col("sk") + k0 * F.lit(rate)) / (F.col("sn") + k0)).alias("s_mean")), "suffixes")
     d = domains.join(s, "suffix").select("domain", ((F.col("dk") + k0 * F.col("s_mean")) / (F.col("dn") + k0)).alias("d_mean"))
-    a = k0 * F.col("d_mean") + F.col("k")
-    b = k0 * (1 - F.col("d_mean")) + F.col("n") - F.col("k")
-    return hosts.join(d, "domain").select(
-        "host", F.col("n").alias("pages"), F.col("k").alias("bad_pages"), F.col("d_mean").alias("prior_mean"),
-        (a / (a + b)).alias("mean"), F.sqrt(a * b / ((a + b) * (a + b) * (a + b + 1))).alias("sd"),
+    hosts = labelled
+    if others is not None:
+        zero = F.lit(0).cast("bigint")
+        more = others.where("host is not null").select("host").distinct().select("host", zero.alias("n"), zero.alias("k"))
+        hosts = labelled.unionByName(more).groupBy("host").agg(F.sum("n").alias("n"), F.sum("k").alias("k"))
+    hosts = hosts.select("host", *levels, "n", "k").join(d, "domain", "left").join(s, "suffix", "left")
+    hosts = hosts.withColumn("prior_mean", F.coalesce("d_mean", "s_mean", F.lit(rate)))
+    a = k0 * F.col("prior_mean") + F.col("k")
+    b = k0 * (1 - F.col("prior_mean")) + F.col("n") - F.col("k")
+    return hosts.select(
+        "host", F.col("n").alias("pages"), F.col("k").alias("bad_pages"), "prior_mean",
+        F.try_divide(a, a + b).alias("mean"), F.sqrt(F.try_divide(a * b, (a + b) * (a + b) * (a + b + 1))).alias("sd"),
     )
 
 
 def filter_urls(pages: DataFrame, outcomes: DataFrame, rules=RULES, strength: float | None = None, z: float = Z, limit: float = LIMIT) -> DataFrame:
     """page_id, host, path, rule, verdict, posterior mean and lower bound for every row of ``pages``.
 
-    Null or malformed urls have an empty host and path; the verdict of a host without labels follows from
-    nothing and is allow. Repeated rows stay.
+    Null or malformed urls have an empty host and path; a host without labels is judged by the prior of its domain,
+    suffix or all hosts. Repeated rows stay.
     """
     seen = pages.select("page_id", url_host(F.col("url")).alias("host"), url_path(F.col("url")).alias("path"))
-    known = host_reputation(outcomes, strength).select("host", F.col("mean").alias("bad_mean"), (F.col("mean") - F.lit(z) * F.col("sd")).alias("bad_low"))
+    known = host_reputation(outcomes, strength, seen.select("host")).select("host", F.col("mean").alias("bad_mean"), (F.col("mean") - F.lit(z) * F.col("sd")).alias("bad_low"))
     rule = rule_column(F.col("host"), F.col("path"), rules)
     said = F.lit(None).cast("string")
     for verdict, text in rules:

@@ -339,6 +339,20 @@ def test_url_filter(spark, sf):
     assert abs(rep["bad.example.net"]["mean"] - (10 * rep["bad.example.net"]["prior_mean"] + 60) / 70) < 1e-12
 
 
+def test_url_filter_of_hosts_without_labels(spark):
+    outcomes = spark.createDataFrame([(f"s{i}.bad.net", 1) for i in range(4) for _ in range(50)] + [(f"s{i}.good.com", 0) for i in range(6) for _ in range(50)], "host string, bad int")
+    hosts = ["new.bad.net", "s0.bad.net", "new.good.com", "x.other.net", "x.other.com", "x.other.de"]
+    pages = spark.createDataFrame([(i, f"http://{h}/1") for i, h in enumerate(hosts)], "page_id bigint, url string")
+    got = {r["host"]: r for r in urlrep.filter_urls(pages, outcomes, rules=(), strength=5.0).collect()}
+    rate = 201 / 502
+    net, com = (200 + 5 * rate) / 205, 5 * rate / 305
+    prior = {"new.bad.net": (200 + 5 * net) / 205, "new.good.com": 5 * com / 305, "x.other.net": net, "x.other.com": com, "x.other.de": rate}
+    for host, p in prior.items():
+        low = p - urlrep.Z * math.sqrt(p * (1 - p) / 6)
+        assert abs(got[host]["bad_mean"] - p) < 1e-8 and abs(got[host]["bad_low"] - low) < 1e-8 and got[host]["verdict"] == ("block" if low > 0.5 else "allow")
+    assert got["new.bad.net"]["verdict"] == got["s0.bad.net"]["verdict"] == "block"
+
+
 def fingerprint(text, k=3):
     ws = words_of(text)
     if not ws:
