@@ -226,6 +226,19 @@ def test_language(spark, docs, nothing, sf):
     assert langid.keep_identified(nothing).count() == 0
 
 
+def test_language_keeps_every_label(spark):
+    names = [f"l{i:02d}" for i in range(70)]
+    rows = [(i, " ".join(f"{l}w{(i * 7 + j) % 9}" for j in range(12)), l, "src") for l in names for i in range(3 if l > "l05" else 2)]
+    rows += [(i, f"common words of the large label number{i}", "big", "src") for i in range(3000)]
+    table = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string")
+    model = langid.fit_text_model(table, 100)
+    assert model["langs"] == ["big", *names] and [t.shape[1] for t in model["logp"]] == [64, 7]
+    assert langid.fit_text_model(table, 1)["langs"] == model["langs"]
+    asked = spark.createDataFrame([(r[0], r[1], None, None) for r in rows if r[2] != "big"], table.schema)
+    got = {(r["doc_id"], r["text"]): r["language"] for r in langid.identify(langid.document_rows(asked).withColumn("host", langid.F.lit(None).cast("string")), model).collect()}
+    assert got == {(r[0], r[1]): r[2] for r in rows if r[2] != "big"}
+
+
 def test_hilbert(spark, corpus, docs, nothing):
     grid = np.array([(x, y, z) for x in range(8) for y in range(8) for z in range(8)])
     index = hilbert.hilbert_index(grid, 3)
