@@ -227,9 +227,12 @@ def _mine(opts: MineOptions, join: str = "grid") -> Query:
     return lambda spark, sf: mining.pattern_table(mining.mine_instances(f2(spark, sf), F1, events_volume(spark, sf), opts).patterns)
 
 
-def mine_grid_mc(spark: SparkSession, sf: str) -> DataFrame:
-    mc, _ = grid_mc(spark, sf, f2)
-    return mining.pattern_table(mining.mine_index(clusters_as_points(mc), F1_MC, events_volume(spark, sf), MineOptions(theta=THETA, max_length=3)).patterns)
+def _mine_grid_mc(opts: MineOptions) -> Query:
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        mc, _ = grid_mc(spark, sf, f2)
+        return mining.pattern_table(mining.mine_index(clusters_as_points(mc), F1_MC, events_volume(spark, sf), opts).patterns)
+
+    return run
 
 
 def identity_bridge(spark: SparkSession, sf: str) -> DataFrame:
@@ -381,10 +384,9 @@ def top_k_patterns(spark: SparkSession, sf: str) -> DataFrame:
     return mining.pattern_table(sequences.top_k_patterns(found, 5))
 
 
-def miner_difference(spark: SparkSession, sf: str) -> DataFrame:
+def _miner_difference(opts: MineOptions) -> Query:
     """Chains that the search on events finds and the search on grid clusters does not."""
-    one, two = _mine(MineOptions(theta=THETA, max_length=3))(spark, sf), mine_grid_mc(spark, sf)
-    return one.select("pattern").exceptAll(two.select("pattern"))
+    return lambda spark, sf: _mine(opts)(spark, sf).select("pattern").exceptAll(_mine_grid_mc(opts)(spark, sf).select("pattern"))
 
 
 def simulate_threshold(spark: SparkSession, sf: str) -> DataFrame:
@@ -505,6 +507,7 @@ def queries() -> dict[str, Query]:
         "tail_set_chain4": tail_set_chain4,
         "mine_instances_tail": _mine(MineOptions(theta=THETA, max_length=4)),
         "mine_instances_type": _mine(MineOptions(theta=THETA, max_length=3, ratio_scope="type")),
+        "mine_instances_type_whole": _mine(MineOptions(theta=THETA, ratio_scope="type")),
         "mine_instances_sweep": _mine(MineOptions(theta=THETA, max_length=4, join="sweep")),
         "grid_microclusters": grid_microclusters,
         "grid_mc_members": grid_mc_members,
@@ -516,7 +519,8 @@ def queries() -> dict[str, Query]:
         "covered_instances": covered_instances,
         "weighted_density": weighted_density,
         "ratio_matrix_grid_mc": ratio_matrix_grid_mc,
-        "mine_grid_mc": mine_grid_mc,
+        "mine_grid_mc": _mine_grid_mc(MineOptions(theta=THETA, max_length=3)),
+        "mine_grid_mc_whole": _mine_grid_mc(MineOptions(theta=THETA)),
         "identity_bridge": identity_bridge,
         "mc_conservation": mc_conservation,
         "mc_bounds": mc_bounds,
@@ -541,7 +545,8 @@ def queries() -> dict[str, Query]:
         "planted_recall": planted_recall,
         "maximal_patterns": maximal_patterns,
         "top_k_patterns": top_k_patterns,
-        "miner_difference": miner_difference,
+        "miner_difference": _miner_difference(MineOptions(theta=THETA, max_length=3)),
+        "miner_difference_whole": _miner_difference(MineOptions(theta=THETA)),
         "asof_previous_cause": asof_previous_cause,
         "type_gap_stats": type_gap_stats,
         "rolling_counts": rolling_counts,

@@ -402,3 +402,12 @@ def test_entry_contract(spark):
     q, o = e.queries(), e.oracle_sql()
     assert set(o) <= set(q) and len(o) >= 50
     assert e.entry(spark).count() > 0
+
+
+def test_whole_chains_of_the_planted_input(spark):
+    from stseq.queries import queries
+
+    sf, found = "/root/testdata/sf0.01", queries()
+    patterns = {k: {r["pattern"] for r in found[k](spark, sf).collect()} for k in ("mine_instances_tail", "mine_instances_type_whole", "mine_grid_mc_whole", "miner_difference_whole")}
+    assert "P1 -> P2 -> P3 -> P4" in patterns["mine_instances_type_whole"]
+    assert patterns["miner_difference_whole"] == patterns["mine_instances_tail"] - patterns["mine_grid_mc_whole"]
