@@ -1,13 +1,12 @@
-"""Main-text extraction by deducing each host's page template from token occurrence vectors.
+"""Main-text extraction by lists of tags and class words, and fixed wording of each host from token occurrence vectors.
 
 A page is a stream of tokens: tags in their role (name, class, id and the path of open elements) and text
 nodes in theirs. Over the distinct pages of one host (copies and repeated rows are one page) every token has an
 occurrence vector (its count on each page). Text of a content element is always data, however many pages share it.
-Tokens with equal vectors form an equivalence class; a class is valid if it is on enough pages and its tags
-open and close within each other (a role holds its path, so members nest by it). Valid classes make the
-template; text that is not part of it fills the template's slots. The main text is what the slots hold inside the
-content element of the template, outside of elements that the template marks as menu, advert, notice, comment
-or the like.
+Tokens with equal vectors form an equivalence class; a class is valid if it is on enough pages and has not a single
+tag only. Of the valid classes, the extraction uses those of text: fixed wording outside the content element leaves.
+Which element is content, and which parts are menu, advert, notice, comment or the like, is decided by fixed lists of
+tags and class words, also on hosts of few pages; classes of tags are told by ``deduce_templates``, but not nested.
 
 A vector is never gathered: its fingerprint, the sum over pages of count * hash(page), is additive, so a host
 with a third of all pages is pre-aggregated in every task.
@@ -156,7 +155,7 @@ def page_tokens(page: str) -> tuple[Counter, dict[int, tuple[str, int]]]:
 
 
 def main_blocks(page: str, template: frozenset[int] | set[int], content: bool | None = None) -> list[str]:
-    """Blocks of the page's main slots. ``content``: whether only what stands in a content element counts; None: if there is one."""
+    """Blocks of the page's main text. ``content``: whether only what stands in a content element counts; None: if there is one."""
     blocks: list[tuple[bool, str]] = []
     parts: list[str] = []
     inside = False
