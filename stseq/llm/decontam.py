@@ -3,7 +3,7 @@
 An item of n normalised characters may differ from a passage in up to e = floor(n * ``BUDGET``) edits. Cut into
 e+1 pieces, at least one piece stands in the passage unchanged. One automaton over all pieces finds the exact
 hits in each whole text; around a hit Myers' bit-parallel scan gives the least edit distance between the item
-and any substring, and the item is found if that is at most e.
+and any substring, and the item is found if that is at most e. Items below ``SHORTEST`` bytes are found exactly, between word borders.
 
 The benchmark is broadcast to the tasks, after a check of its size.
 """
@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from stseq.llm.common import stored
 from stseq.llm.textblock import give_back
 
-#: Edits allowed, as a share of an item's length, and the shortest item (normalised bytes) that is looked for.
+#: Edits allowed, as a share of an item's length, and the shortest item (normalised bytes) that may differ at all.
 BUDGET, SHORTEST = 0.05, 40
 #: Bytes of normalised benchmark text that may be broadcast.
 BROADCAST_BYTES = 64 << 20
@@ -66,7 +66,8 @@ class Items:
     """The automaton over the pieces of all items."""
 
     def __init__(self, items: list[tuple[int, bytes]], budget: float = BUDGET, shortest: int = SHORTEST):
-        self.items = [(i, t, int(len(t) * budget)) for i, t in items if len(t) >= shortest]
+        self.items = [(i, t, int(len(t) * budget) if len(t) >= shortest else 0) for i, t in items if t]
+        self.shortest = shortest
         where: dict[bytes, list[tuple[int, int]]] = {}
         for k, (_, t, e) in enumerate(self.items):
             cuts = np.linspace(0, len(t), e + 2).astype(int)
@@ -88,6 +89,11 @@ class Items:
         spots: dict[int, set[int]] = {}
         for end, (n, at) in self.automaton.iter(text.decode("latin-1")):
             for k, a in at:
+                m = len(self.items[k][1])
+                if m < self.shortest:  # one exact copy between word borders will do
+                    s = end + 1 - m
+                    if k in spots or text[max(0, s - 1) : s].strip() or text[end + 1 : end + 2].strip():
+                        continue
                 spots.setdefault(k, set()).add(end + 1 - n - a)
         out = []
         for k, begins in spots.items():
@@ -125,7 +131,7 @@ def benchmark_items(benchmark: DataFrame, limit: int = BROADCAST_BYTES) -> list[
 def contaminated(docs: DataFrame, benchmark: DataFrame, budget: float = BUDGET, shortest: int = SHORTEST) -> DataFrame:
     """doc_id, item_id, distance, match_start, match_end for each item found in each row.
 
-    Positions are bytes of the normalised text. Items shorter than ``shortest`` bytes are not looked for; a
+    Positions are bytes of the normalised text. Items shorter than ``shortest`` bytes are looked for exactly, as whole words; a
     null or empty text holds none; repeated rows are reported each.
     """
     spark = docs.sparkSession

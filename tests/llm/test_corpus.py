@@ -336,6 +336,12 @@ def test_myers_and_decontamination(spark, docs, nothing, sf):
     assert decontam.contaminated(nothing, bench).count() == 0 and decontam.contaminated(df, bench.limit(0)).count() == 0
 
 
+def test_decontamination_of_short_items():
+    items = decontam.Items([(1, b"who wrote it"), (2, b""), (3, b"ab")])
+    assert items.find(b"so who wrote it then") == [(1, 0, 3, 15)] and items.find(b"who wrote it") == [(1, 0, 0, 12)]
+    assert items.find(b"who wrote its") == items.find(b"xwho wrote it") == items.find(b"cab abc") == [] and items.find(b"cab ab ab") == [(3, 0, 4, 6)]
+
+
 def test_url_filter(spark, sf):
     urls = {
         1: ("http://a.example.org/es/1", "example.org/es/", "block"), 2: ("HTTP://A.Example.ORG/en/15?x", "example.org/en/1", "block"), 3: ("http://b.org", None, "allow"),
