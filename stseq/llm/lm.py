@@ -91,19 +91,22 @@ def count_words(train: DataFrame) -> DataFrame:
 
 
 def cluster(points: np.ndarray, weights: np.ndarray, k: int, rounds: int = 15, seed: int = 7) -> np.ndarray:
-    """Weighted k-means labels."""
+    """k-means labels; the centres start at points drawn by weight and are fitted on all points."""
     if not len(points):
         return np.zeros(0, np.int64)
     rng = np.random.default_rng(seed)
     some = rng.choice(len(points), min(len(points), 20_000), replace=False, p=weights / weights.sum()) if len(points) > k else np.arange(len(points))
     centres = points[some[rng.permutation(len(some))[:k]]].copy()
-    sub, w = points[some], np.ones(len(some))
     for _ in range(rounds):
-        label = _nearest(sub, centres)
+        label = _labels(points, centres)
+        n = np.bincount(label, minlength=len(centres))
         for d in range(points.shape[1]):
-            total = np.bincount(label, w * sub[:, d], len(centres))
-            n = np.bincount(label, w, len(centres))
+            total = np.bincount(label, points[:, d], len(centres))
             centres[n > 0, d] = (total / np.maximum(n, 1))[n > 0]
+    return _labels(points, centres)
+
+
+def _labels(points: np.ndarray, centres: np.ndarray) -> np.ndarray:
     return np.concatenate([_nearest(points[a : a + 8192], centres) for a in range(0, len(points), 8192)])
 
 

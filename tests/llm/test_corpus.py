@@ -117,6 +117,14 @@ def test_lm_head_bound_and_tail_agree(spark, sf, monkeypatch):
         assert one[k]["n_known"] == two[k]["n_known"] and abs(one[k]["base_score"] - two[k]["base_score"]) < 1e-6
 
 
+def test_lm_centres_are_fitted_on_all_points():
+    rng = np.random.default_rng(1)
+    points = np.concatenate([rng.normal(0, 0.1, (20_000, 2)), rng.normal(0, 0.1, (20_000, 2)) + [1.0, 0.0]])
+    weights = np.concatenate([np.full(20_000, 1e6), np.full(20_000, 1e-6)])  # a sample by weight holds the first half only
+    label = lm.cluster(points, weights, 2)
+    assert (label[:20_000] == label[0]).mean() > 0.99 and (label[20_000:] == label[-1]).mean() > 0.99 and label[0] != label[-1]
+
+
 def test_html_main_text(spark, sf):
     page = """<!DOCTYPE html><html><head><title>T</title><style>p{}</style><script>var a="<p>x</p>"</script></head><body class="has-sidebar">
       <header><h2>Site</h2></header><nav><a>Menu</a></nav><div class="cookie-notice">We use cookies</div>
