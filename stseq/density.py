@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from stseq.model import NeighbourhoodSpec, SpaceSpec, as_points
 from stseq.neighbourhood import clipped_volume
 from stseq.neighbours import pairs_grid, torus_targets
+from stseq.storage import broadcast_if_small, stored
 
 
 def type_counts(points: DataFrame) -> DataFrame:
@@ -27,9 +28,9 @@ def type_density(points: DataFrame, space: SpaceSpec) -> DataFrame:
 def local_density(pairs: DataFrame, points: DataFrame, spec: NeighbourhoodSpec) -> DataFrame:
     """Density of every target type in each source's neighbourhood, zeros included: src_id, src_type, dst_type, W, density."""
     points = as_points(points)
-    types = points.select(F.col("type").alias("dst_type")).distinct()
+    types = broadcast_if_small(stored(points.select(F.col("type").alias("dst_type")).distinct(), "types"), 100_000)
     found = pairs.groupBy("src_id", "dst_type").agg(F.sum("dst_w").alias("W"))
-    every = points.select(F.col("id").alias("src_id"), F.col("type").alias("src_type")).crossJoin(F.broadcast(types))  # types: a handful
+    every = points.select(F.col("id").alias("src_id"), F.col("type").alias("src_type")).crossJoin(types)
     out = every.join(found, ["src_id", "dst_type"], "left").withColumn("W", F.coalesce("W", F.lit(0)))
     return out.select("src_id", "src_type", "dst_type", "W", (F.col("W") / F.lit(spec.volume)).alias("density"))
 
@@ -87,7 +88,7 @@ def tail_ratios(tails: DataFrame, pairs: DataFrame, counts: DataFrame, spec: Nei
     size = tails.groupBy("seq_id").agg(F.sum("w").alias("S"))
     reached = tails.join(pairs, F.col("id") == F.col("src_id")).groupBy("seq_id", "dst_type").agg(F.sum(F.col("w") * F.col("dst_w")).alias("W"))
     types = counts.select(F.col("type").alias("dst_type"), "N")
-    out = reached.join(size, "seq_id").join(F.broadcast(types), "dst_type")  # one row a type
+    out = reached.join(size, "seq_id").join(types, "dst_type")
     return out.select("seq_id", "dst_type", "W", "S", ratio_of(F.col("W"), F.col("S"), F.col("N"), spec, space).alias("ratio"))
 
 

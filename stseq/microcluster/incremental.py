@@ -31,24 +31,29 @@ def cluster_incremental(events: DataFrame, spec: ClusterSpec) -> tuple[DataFrame
     space, time, d = scales(events, spec)
     options = _kernel_options(spec)
 
+    names = ["kind", "type", "tile", "local", "n", *axes, "t", "ss", "id"]
+
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["t", "id"] if spec.order_by == "time_id" else ["id"], kind="stable")
         raw = pdf[[*axes, "t"]].to_numpy(float)
         x = raw / np.array([*space, time])
         x = x - x.mean(axis=0)
         groups = Clusters(x, d, **options).run()
-        ids = pdf["id"].to_numpy()
-        mean = [raw[g].mean(axis=0) for g in groups]
-        ss = [float(((x[g] - x[g].mean(axis=0)) ** 2).sum()) for g in groups]
-        out = {"type": pdf["type"].iloc[0], "tile": pdf["tile"].iloc[0], "local": np.arange(len(groups)), "n": [len(g) for g in groups]}
-        out |= {a: [m[k] for m in mean] for k, a in enumerate([*axes, "t"])}
-        return pd.DataFrame(out | {"ss": ss, "members": [ids[g].tolist() for g in groups]})
-
-    schema = "type string, tile bigint, local bigint, n bigint, " + ", ".join(f"{a} double" for a in axes) + ", t double, ss double, members array<bigint>"
+        local = np.empty(len(x), np.int64)
+        for k, g in enumerate(groups):
+            local[g] = k
+        mean = np.array([raw[g].mean(axis=0) for g in groups])
+        mc = {"kind": 0, "local": np.arange(len(groups)), "n": [len(g) for g in groups], "id": None, "ss": [float(((x[g] - x[g].mean(axis=0)) ** 2).sum()) for g in groups]}
+        mc |= {a: mean[:, k] for k, a in enumerate([*axes, "t"])}
+        own = {"kind": 1, "local": local, "n": None, "id": pdf["id"].to_numpy(), "ss": np.nan} | {a: np.nan for a in (*axes, "t")}
+        both = pd.concat([pd.DataFrame(mc).astype({"n": "Int64", "id": "Int64"}), pd.DataFrame(own).astype({"n": "Int64", "id": "Int64"})], ignore_index=True)
+        return both.assign(type=pdf["type"].iloc[0], tile=pdf["tile"].iloc[0])[names]
+
+    # one row a cluster and one a member, so that no row grows with the data
+    schema = "kind int, type string, tile bigint, local bigint, n bigint, " + ", ".join(f"{a} double" for a in axes) + ", t double, ss double, id bigint"
     grouped = events.select("id", "type", *[F.col(a).cast("double").alias(a) for a in axes], F.col("t").cast("double").alias("t"), tile_of(spec).alias("tile"))
-    whole = stored(grouped.groupBy("type", "tile").applyInPandas(run, schema).withColumn("cid", F.xxhash64("type", "tile", "local")), "microclusters")
-    mc = whole.select("cid", "type", "n", *axes, "t", "ss", "tile")
-    return mc, whole.select("cid", F.explode("members").alias("id"))
+    whole = stored(grouped.groupBy("type", "tile").applyInPandas(run, schema).withColumn("cid", F.xxhash64("type", "tile", "local")), "microclusters", "kind")
+    return whole.where("kind = 0").select("cid", "type", "n", *axes, "t", "ss", "tile"), whole.where("kind = 1").select("cid", "id")
 
 
 def absorb(mc: DataFrame, new_events: DataFrame, spec: ClusterSpec) -> DataFrame:

@@ -7,7 +7,7 @@ and forms the next tails as distinct targets. The driver sees one count a level.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from functools import reduce
 
 from pyspark.sql import DataFrame
@@ -17,8 +17,10 @@ from stseq.density import ratio_matrix, ratio_of, type_counts
 from stseq.model import ClusterSpec, MineOptions, NeighbourhoodSpec, SpaceSpec, as_points, clusters_as_points
 from stseq.neighbours import pairs_grid, pairs_nested_loop, pairs_sweep
 from stseq.sequences import next_index, seq_append, seq_hash, seq_last, seq_text
-from stseq.storage import stored
+from stseq.storage import broadcast_if_small, stored, stored_buckets
 
+#: Rows of a counted table that may be broadcast.
+SMALL = 100_000
 PATTERN_SCHEMA = "seq array<string>, length int, seq_index double, last_ratio double, tail_weight bigint"
 
 
@@ -27,7 +29,12 @@ class MiningResult:
     patterns: DataFrame
     pairs: DataFrame
     levels: list[dict] = field(default_factory=list)
-    truncated: bool = False
+    #: Why the search ended: "complete" (no chain survives), "max_length" (longer ones may exist) or "limit_patterns".
+    ended: str = "complete"
+
+    @property
+    def truncated(self) -> bool:
+        return self.ended == "limit_patterns"
 
 
 def neighbour_pairs(points: DataFrame, spec: NeighbourhoodSpec, how: str = "grid") -> DataFrame:
@@ -50,11 +57,11 @@ def expand_level(chains: DataFrame, tails: DataFrame, pairs: DataFrame, counts:
     touched = tails.join(pairs.select("src_id", "dst_id", "dst_type", "dst_w"), F.col("id") == F.col("src_id")).select("seq_id", "w", "dst_id", "dst_type", "dst_w")
     if opts.ratio_scope == "tail":
         scored = touched.groupBy("seq_id", "dst_type").agg(F.sum(F.col("w") * F.col("dst_w")).alias("W"))
-        scored = scored.join(size, "seq_id").join(F.broadcast(counts), F.col("dst_type") == F.col("type"))  # a row a type
+        scored = scored.join(size, "seq_id").join(counts, F.col("dst_type") == F.col("type"))
         scored = scored.withColumn("ratio", ratio_of(F.col("W"), F.col("S"), F.col("N"), spec, space)).select("seq_id", "dst_type", "ratio").join(chains, "seq_id")
     else:
         strong = links.select(F.col("src_type").alias("last"), "dst_type", "ratio")
-        scored = chains.withColumn("last", seq_last(F.col("seq"))).join(F.broadcast(strong), "last").drop("last")  # types squared
+        scored = chains.withColumn("last", seq_last(F.col("seq"))).join(strong, "last").drop("last")
     if not opts.allow_repeats:
         scored = scored.where(~F.array_contains("seq", F.col("dst_type")))
     longer = scored.select(
@@ -67,31 +74,31 @@ def expand_level(chains: DataFrame, tails: DataFrame, pairs: DataFrame, counts:
 def mine_index(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec, opts: MineOptions = MineOptions(), pairs: DataFrame | None = None) -> MiningResult:
     """All significant chains of length 2 and more over weighted points (events, or a microcluster index).
 
-    Stops without survivors, at ``max_length``, or - marked as truncated - above ``limit_patterns`` chains. For time
+    Stops without survivors, at ``max_length``, or above ``limit_patterns`` chains (None: no such limit); the result's
+    ``ended`` says which. Pairs are stored in buckets of their source, so a level moves tails, not pairs. For time
     rules that let an event follow itself in a cycle, ``cycle_guard`` drops a chain whose tail is the same set
     as its prefix's tail one period before.
     """
     points = as_points(points)
     if opts.strategy == "depth":
         return mine_depth_first(points, spec, space, opts)
-    pairs = stored(pairs if pairs is not None else neighbour_pairs(points, spec, opts.join), "pairs")
-    counts = type_counts(points)
+    pairs = stored_buckets(pairs if pairs is not None else neighbour_pairs(points, spec, opts.join), "pairs", "src_id")
+    counts = broadcast_if_small(stored(type_counts(points), "counts"), SMALL)
     links = ratio_matrix(points, spec, space, pairs).where(F.col("ratio") >= opts.theta) if opts.ratio_scope == "type" else None
     chains, tails = seed(points)
     result = MiningResult(patterns=points.sparkSession.createDataFrame([], PATTERN_SCHEMA), pairs=pairs)
-    found, total = [], 0
+    found, total, theta = [], 0, opts.theta
     guard: DataFrame | None = None
     for length in range(2, opts.max_length + 1):
-        longer, touched = expand_level(chains, tails, pairs, counts, spec, space, opts, links)
+        longer, touched = expand_level(chains, tails, pairs, counts, spec, space, replace(opts, theta=theta), links)
         longer = stored(longer, f"chains-{length}")
         n = longer.count()
         if not n:
             break
-        if total + n > opts.limit_patterns:
-            result.truncated = True
+        if opts.limit_patterns is not None and total + n > opts.limit_patterns:
+            result.ended = "limit_patterns"
             break
-        # at most limit_patterns rows, checked just now
-        kept = F.broadcast(longer.select(F.col("parent").alias("seq_id"), "dst_type", F.col("seq_id").alias("child")))
+        kept = broadcast_if_small(longer.select(F.col("parent").alias("seq_id"), "dst_type", F.col("seq_id").alias("child")), SMALL, n)
         tails = touched.join(kept, ["seq_id", "dst_type"]).select(F.col("child").alias("seq_id"), F.col("dst_id").alias("id"), F.col("dst_w").alias("w")).distinct()
         tails = stored(tails, f"tails-{length}")
         size = tails.groupBy("seq_id").agg(F.sum("w").alias("tail_weight"), F.count("*").alias("m"), F.expr("bit_xor(xxhash64(id))").alias("mark"))
@@ -106,6 +113,11 @@ def mine_index(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec, opt
         total += rows
         result.levels.append({"length": length, "chains": rows})
         chains = alive.select("seq_id", "seq", "seq_index")
+        if opts.top_k and total >= opts.top_k:
+            # an index never grows with the chain, so what is below the k-th strongest cannot lead to a better one
+            strongest = reduce(DataFrame.unionByName, found).orderBy(F.desc("seq_index")).limit(opts.top_k)
+            theta = max(theta, strongest.agg(F.min("seq_index")).first()[0])
+            chains = chains.where(F.col("seq_index") >= theta)
         if opts.cycle_guard and spec.time_rule != "after":
             # a tail seen before in an ancestor that ends in the same type repeats for ever
             seen = alive.select("seq_id", "parent", seq_last(F.col("seq")).alias("last"), "m", "mark")
@@ -117,8 +129,10 @@ def mine_index(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec, opt
             own = seen.select(F.col("seq_id").alias("of"), F.col("last").alias("g_last"), F.col("m").alias("g_m"), F.col("mark").alias("g_mark"))
             guard = own if old is None else hist.unionByName(own)
         tails = tails.join(chains.select("seq_id"), "seq_id", "left_semi")
+    else:
+        result.ended = "max_length" if found or opts.max_length < 2 else "complete"
     if found:
-        result.patterns = reduce(DataFrame.unionByName, found)
+        result.patterns = reduce(DataFrame.unionByName, found).where(F.col("seq_index") >= theta)
     return result
 
 
@@ -149,13 +163,15 @@ def mine_depth_first(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpe
             new = {j for _, j in reached}
             if low >= opts.theta and (new or not opts.require_tail):
                 out.append((seq + [f], len(seq) + 1, low, ratio, sum(weight[j][1] for j in new)))
-                if len(out) <= opts.limit_patterns:
+                if opts.limit_patterns is None or len(out) <= opts.limit_patterns:
                     expand(seq + [f], low, new)
 
     for f in sorted(N):
         expand([f], None, {i for i, (g, _) in weight.items() if g == f})
     spark = points.sparkSession
-    return MiningResult(spark.createDataFrame(out, PATTERN_SCHEMA), pairs, truncated=len(out) > opts.limit_patterns)
+    cut = opts.limit_patterns is not None and len(out) > opts.limit_patterns
+    longest = max((row[1] for row in out), default=0)
+    return MiningResult(spark.createDataFrame(out, PATTERN_SCHEMA), pairs, ended="limit_patterns" if cut else "max_length" if longest >= opts.max_length else "complete")
 
 
 def mine_instances(events: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec, opts: MineOptions = MineOptions()) -> MiningResult:
@@ -171,6 +187,11 @@ def mine_microclusters(events: DataFrame, clustering: ClusterSpec, spec: Neighbo
     return mine_index(clusters_as_points(mc), spec, space, opts)
 
 
+def mine_top_k(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec, k: int, opts: MineOptions = MineOptions()) -> MiningResult:
+    """The ``k`` strongest chains of index ``theta`` or more, and those that tie with the last; weaker ones are not extended."""
+    return mine_index(points, spec, space, replace(opts, top_k=k))
+
+
 def pattern_table(patterns: DataFrame) -> DataFrame:
     """Patterns with the chain as text, rounded for comparison."""
     return patterns.select(

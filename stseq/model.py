@@ -149,7 +149,8 @@ class MineOptions:
     allow_repeats: bool = True
     require_tail: bool = True
     min_tail_weight: int = 0
-    limit_patterns: int = 100_000
+    limit_patterns: int | None = None
+    top_k: int | None = None
     cycle_guard: bool = True
     strategy: str = "level"
     join: str = "grid"

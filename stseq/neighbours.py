@@ -70,7 +70,8 @@ def pairs_grid(events: DataFrame, spec: NeighbourhoodSpec, targets: DataFrame |
     """Equi-join on cells, then the exact test. Needs a time rule with two bounds.
 
     The sources are the multiplied side, so they are never the broadcast one: few targets are sent to all tasks
-    and the sources stay where they are, else both sides are dealt by cell (and hot cells split by AQE).
+    and the sources stay where they are, else both sides are dealt by cell (and hot cells split by AQE). The count stops
+    above the bound; ``broadcast_targets=0`` skips it.
     """
     if not spec.bounded:
         raise ValueError(f"time rule {spec.time_rule} has no lower bound; use pairs_nested_loop")
@@ -79,7 +80,7 @@ def pairs_grid(events: DataFrame, spec: NeighbourhoodSpec, targets: DataFrame |
     src = source_cells(points, spec)
     src = src.select(*keys, F.struct(*points.columns).alias("src"))
     dst = _points(targets, spec) if targets is not None else points
-    few = dst.select("id").limit(broadcast_targets + 1).count() <= broadcast_targets
+    few = broadcast_targets > 0 and dst.select("id").limit(broadcast_targets + 1).count() <= broadcast_targets
     dst = dst.select(*cell_columns(spec), F.struct(*dst.columns).alias("dst"))
     joined = src.join(F.broadcast(dst), keys) if few else src.join(dst.hint("merge"), keys)
     return joined.where(matches(spec)).select(*_pair_columns())

@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from stseq.density import ratio_matrix, tail_ratios, type_counts
 from stseq.model import NeighbourhoodSpec, SpaceSpec, as_points
 from stseq.neighbours import pairs_grid
+from stseq.ranks import with_rank
+from stseq.storage import stored
 
 ARROW = " -> "
 
@@ -63,8 +65,6 @@ def tail_set(points: DataFrame, chain: list[str], spec: NeighbourhoodSpec, pairs
 
 def sequence_index(points: DataFrame, chain: list[str], spec: NeighbourhoodSpec, space: SpaceSpec, scope: str = "tail", pairs: DataFrame | None = None) -> DataFrame:
     """Ratio of each link of one given chain and the index up to it: position, src_type, dst_type, ratio, seq_index."""
-    from pyspark.sql import Window
-
     points = as_points(points)
     pairs = pairs if pairs is not None else pairs_grid(points, spec)
     counts = type_counts(points)
@@ -79,8 +79,9 @@ def sequence_index(points: DataFrame, chain: list[str], spec: NeighbourhoodSpec,
             one = tail_ratios(tail, pairs, counts, spec, space).where(F.col("dst_type") == f).select("ratio")
         one = one.select(F.lit(k + 1).alias("position"), F.lit(before).alias("src_type"), F.lit(f).alias("dst_type"), "ratio")
         links = one if links is None else links.unionByName(one)
-    order = Window.orderBy("position")  # a row a link
-    return links.withColumn("seq_index", F.min("ratio").over(order))
+    so_far = links.select(F.col("position").alias("upto"), F.col("ratio").alias("r"))
+    low = links.join(so_far, F.col("upto") <= F.col("position")).groupBy("position").agg(F.min("r").alias("seq_index"))  # a row a link
+    return links.join(low, "position").select("position", "src_type", "dst_type", "ratio", "seq_index")
 
 
 def contains_chain(outer: Column, inner: Column) -> Column:
@@ -108,19 +109,15 @@ def simulate_threshold(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceS
     """Ratios that chance gives: type labels are shuffled over the points ``runs`` times; per run the largest ratio, and their quantile.
 
     The neighbour pairs do not depend on labels and are taken once. Labels go by rank of a hash, so a run is
-    the same in any partitioning: run, max_ratio, threshold.
+    the same in any partitioning; the ranks come from one sort over all tasks: run, max_ratio, threshold.
     """
-    from pyspark.sql import Window
-
-    from stseq.storage import stored
-
     points = as_points(points)
     pairs = stored(pairs_grid(points, spec).select("src_id", "dst_id", "src_w", "dst_w"), "pairs")
-    each = points.select("id", "type", "w").crossJoin(points.sparkSession.range(runs).select(F.col("id").alias("run")))
-    place = Window.partitionBy("run").orderBy(F.xxhash64(F.lit(seed), "run", "id"), "id")
-    home = Window.partitionBy("run").orderBy("id")
-    ranked = each.select("run", "id", "type", "w", F.row_number().over(home).alias("slot"), F.row_number().over(place).alias("card"))
-    label = ranked.select("run", "id", "slot").join(ranked.select("run", F.col("card").alias("slot"), "type"), ["run", "slot"]).select("run", "id", "type")
+    slots, n = with_rank(points.select("id"), ["id"], "slot")
+    each = points.select("id", "type").join(F.broadcast(points.sparkSession.range(runs).select(F.col("id").alias("run"))))  # runs rows
+    cards, _ = with_rank(each.select("run", "type", "id", F.xxhash64(F.lit(seed), "run", "id").alias("_h")), ["run", "_h", "id"], "card")
+    cards = cards.select("run", (F.col("card") - F.col("run") * F.lit(n)).alias("slot"), "type")
+    label = stored(slots.join(cards, "slot").select("run", "id", "type"), "labels")
     src = label.select("run", F.col("id").alias("src_id"), F.col("type").alias("src_type"))
     dst = label.select("run", F.col("id").alias("dst_id"), F.col("type").alias("dst_type"))
     W = pairs.join(src, "src_id").join(dst, ["run", "dst_id"]).groupBy("run", "src_type", "dst_type").agg(F.sum(F.col("src_w") * F.col("dst_w")).alias("W"))

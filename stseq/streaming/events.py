@@ -7,11 +7,13 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
+from stseq.microcluster.kernel import DIGITS, SLACK
 from stseq.model import NeighbourhoodSpec
 from stseq.neighbourhood import matches
 from stseq.neighbours import _cell_axes, cell_columns, source_cells
@@ -20,7 +22,7 @@ STREAM_SCHEMA = "id bigint, type string, x bigint, y bigint, t bigint, ts timest
 CLUSTER_SCHEMA = "type string, tile bigint, cid bigint, n bigint, x double, y double, t double, ss double"
 
 
-def read_stream(spark: SparkSession, path: str, schema: str = STREAM_SCHEMA, files: int = 1) -> DataFrame:
+def read_stream(spark: SparkSession, path: str, schema: str = STREAM_SCHEMA, files: int = 2) -> DataFrame:
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(path)
 
 
@@ -57,53 +59,75 @@ def session_counts(events: DataFrame, gap: str = "6 hours", late: str = "1 day")
 
 
 class ClusterState(StatefulProcessor):
-    """Microclusters of one (type, tile) as additive features; an event joins the nearest one while the diameter holds."""
+    """Microclusters of one (type, tile) as additive features; an event joins the nearest one while the diameter holds.
 
-    def __init__(self, d: float, time_unit: float):
-        self.d, self.unit = d, time_unit
+    The nearest is found over arrays of centres. A key's state ends when the watermark passes the end of its tile.
+    """
+
+    def __init__(self, d: float, time_unit: float, length: float, origin: int):
+        self.d, self.unit, self.length, self.origin = d, time_unit, length, origin
 
     def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle = handle
         self.clusters = handle.getMapState("clusters", "cid bigint", "n bigint, x double, y double, t double, ss double")
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        known = {k[0]: list(v) for k, v in self.clusters.iterator()}
+        new = pd.concat(list(rows), ignore_index=True).sort_values(["t", "id"], kind="stable")
+        known = [(k[0], tuple(v)) for k, v in self.clusters.iterator()]
+        known.sort(key=lambda kv: kv[0])
+        cid = [k for k, _ in known]
+        size = max(16, 2 * (len(known) + len(new)))
+        have = np.zeros((size, 5))  # n, x, y, t, ss
+        if known:
+            have[: len(known)] = [v for _, v in known]
         touched = set()
-        for frame in rows:
-            for r in frame.sort_values(["t", "id"], kind="stable").itertuples():
-                best, gap = None, None
-                for cid, (n, x, y, t, ss) in known.items():
-                    g = (x - r.x) ** 2 + (y - r.y) ** 2 + ((t - r.t) / self.unit) ** 2
-                    if gap is None or g < gap:
-                        best, gap = cid, g
-                if best is not None:
-                    n, x, y, t, ss = known[best]
-                    grown = ss + gap * n / (n + 1)
-                    if (2 * grown / n) ** 0.5 <= self.d:
-                        known[best] = [n + 1, x + (r.x - x) / (n + 1), y + (r.y - y) / (n + 1), t + (r.t - t) / (n + 1), grown]
-                        touched.add(best)
-                        continue
-                known[int(r.id)] = [1, float(r.x), float(r.y), float(r.t), 0.0]
-                touched.add(int(r.id))
-        for cid in touched:
-            n, x, y, t, ss = known[cid]
-            self.clusters.updateValue((cid,), (int(n), float(x), float(y), float(t), float(ss)))
-        if touched:
-            ordered = sorted(touched)
-            yield pd.DataFrame({
-                "type": key[0], "tile": key[1], "cid": ordered, "n": [known[c][0] for c in ordered], "x": [known[c][1] for c in ordered],
-                "y": [known[c][2] for c in ordered], "t": [known[c][3] for c in ordered], "ss": [known[c][4] for c in ordered],
-            })
+        scale = np.array([1.0, 1.0, self.unit]) * self.d
+        for i, x in zip(new["id"].to_numpy(), new[["x", "y", "t"]].to_numpy(float)):
+            m = len(cid)
+            if m:
+                gap = np.round((((have[:m, 1:4] - x) / scale) ** 2).sum(axis=1), DIGITS)
+                at = int(np.argmin(gap))
+                n, ss = have[at, 0], have[at, 4]
+                grown = ss + gap[at] * n / (n + 1)
+                if (2 * grown / n) ** 0.5 <= 1 + SLACK:
+                    have[at, 1:4] += (x - have[at, 1:4]) / (n + 1)
+                    have[at, 0], have[at, 4] = n + 1, grown
+                    touched.add(at)
+                    continue
+            cid.append(int(i))
+            have[m] = [1, *x, 0]
+            touched.add(m)
+        for at in touched:
+            n, x, y, t, ss = have[at]
+            self.clusters.updateValue((cid[at],), (int(n), float(x), float(y), float(t), float(ss)))
+        tile_end = (np.floor(float(new["t"].iloc[-1]) / self.length) + 1) * self.length
+        self.handle.registerTimer(int((self.origin + tile_end) // 1000))
+        rows_at = sorted(touched)
+        out = {"type": key[0], "tile": key[1], "cid": [cid[a] for a in rows_at], "n": have[rows_at, 0].astype(np.int64)}
+        yield pd.DataFrame(out | {c: have[rows_at, k] for k, c in ((1, "x"), (2, "y"), (3, "t"), (4, "ss"))})
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:
+        self.clusters.clear()
+        return iter(())
 
     def close(self) -> None:
         pass
 
 
-def stream_clusters(events: DataFrame, d: float, tile: float, time_unit: float = 1.0, tile_t: float | None = None) -> DataFrame:
-    """Updated clusters of each batch; needs the RocksDB state store (``use_rocksdb``)."""
-    cells = F.xxhash64(F.floor(F.col("x") / tile), F.floor(F.col("y") / tile), F.floor(F.col("t") / ((tile_t or tile) * time_unit)))
-    keyed = events.select("id", "type", "x", "y", "t", cells.alias("tile"))
+#: Microseconds of 2024-01-01, where a stream's t begins.
+ORIGIN_MICROS = 1_704_067_200_000_000
+
+
+def stream_clusters(events: DataFrame, d: float, tile: float, time_unit: float = 1.0, tile_t: float | None = None, late: str = "1 day") -> DataFrame:
+    """Updated clusters of each batch (ss in units of d squared); needs the RocksDB state store (``use_rocksdb``).
+
+    Events behind the watermark are dropped, and a tile's state with it, so state is that of the open tiles.
+    """
+    length = (tile_t or tile) * time_unit
+    cells = F.xxhash64(F.floor(F.col("x") / tile), F.floor(F.col("y") / tile), F.floor(F.col("t") / length))
+    keyed = events.withWatermark("ts", late).select("id", "type", "x", "y", "t", "ts", cells.alias("tile"))
     return keyed.groupBy("type", "tile").transformWithStateInPandas(
-        statefulProcessor=ClusterState(d, time_unit), outputStructType=CLUSTER_SCHEMA, outputMode="Update", timeMode="None"
+        statefulProcessor=ClusterState(d, time_unit, length, ORIGIN_MICROS), outputStructType=CLUSTER_SCHEMA, outputMode="Update", timeMode="EventTime"
     )
 
 
@@ -111,12 +135,12 @@ def use_rocksdb(spark: SparkSession) -> None:
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
 
 
-def replay(events: DataFrame, path: str, files: int = 8) -> None:
-    """Write an event table (t in microseconds since 2024-01-01) as files of successive time slices, for a file stream.
+def replay(events: DataFrame, path: str, files: int = 8, parts: int = 2) -> None:
+    """Write an event table (t in microseconds since 2024-01-01) as successive time slices of ``parts`` files each, for a file stream.
 
-    A file stream reads by modification time, so the slices are written one after another.
+    A file stream reads by modification time, so the slices are written one after another; a trigger takes a slice.
     """
-    stamped = events.withColumn("ts", F.timestamp_micros(F.col("t") + F.lit(1_704_067_200_000_000)))
+    stamped = events.withColumn("ts", F.timestamp_micros(F.col("t") + F.lit(ORIGIN_MICROS)))
     cuts = stamped.agg(F.percentile_approx("t", [i / files for i in range(1, files)], 10_000)).first()[0] if files > 1 else []
     edges = [None, *sorted(set(cuts or [])), None]
     for low, high in zip(edges, edges[1:]):
@@ -125,7 +149,7 @@ def replay(events: DataFrame, path: str, files: int = 8) -> None:
             part = part.where(F.col("t") > low)
         if high is not None:
             part = part.where(F.col("t") <= high)
-        part.coalesce(1).write.mode("append").parquet(path)
+        part.repartition(parts).write.mode("append").parquet(path)
 
 
 def run_to_table(stream: DataFrame, folder: str, mode: str = "append") -> DataFrame:
