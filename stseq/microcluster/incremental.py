@@ -34,7 +34,7 @@ def cluster_incremental(events: DataFrame, spec: ClusterSpec) -> tuple[DataFrame
     names = ["kind", "type", "tile", "local", "n", *axes, "t", "ss", "id"]
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["t", "id"] if spec.order_by == "time_id" else ["id"], kind="stable")
+        pdf = pdf.sort_values({"time_id": ["t", "id"], "time_place": ["t", *axes, "id"], "id": ["id"]}[spec.order_by], kind="stable")
         raw = pdf[[*axes, "t"]].to_numpy(float)
         x = raw / np.array([*space, time])
         x = x - x.mean(axis=0)

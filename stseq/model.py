@@ -133,7 +133,7 @@ class ClusterSpec:
             raise ValueError("normalising needs d_s and d_t")
         if self.K is not None and self.K < 2:
             raise ValueError("K is 2 at least")
-        if self.order_by not in ("time_id", "id") or self.assign not in ("seed", "centroid") or self.recheck not in ("paper", "until_fit"):
+        if self.order_by not in ("time_id", "time_place", "id") or self.assign not in ("seed", "centroid") or self.recheck not in ("paper", "until_fit"):
             raise ValueError("unknown order_by, assign or recheck")
         if self.zero_split not in ("halve", "seed") or self.nearest not in ("scan", "pivot"):
             raise ValueError("unknown zero_split or nearest")

@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 import math
-import tempfile
+import uuid
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -13,6 +14,7 @@ from stseq import density, metrics, mining, neighbours, sequences
 from stseq.microcluster import cluster
 from stseq.microcluster.features import diameter_cf, diameter_pairwise
 from stseq.model import ClusterSpec, MineOptions, NeighbourhoodSpec, SpaceSpec, as_points, clusters_as_points
+from stseq.ranks import with_rank
 from stseq.sources import abnormal, tables
 from stseq.sources.planted import planted_from_events, with_planted
 from stseq.storage import stored
@@ -27,6 +29,7 @@ F5 = NeighbourhoodSpec(R=0.5, T=2, dims=1)
 F6 = NeighbourhoodSpec(R=0.1, T=50)
 F7 = NeighbourhoodSpec(R=10, T=30)
 F8 = NeighbourhoodSpec(R=1, T=1)
+F3_MC = ClusterSpec(d_s=2.5, d_t=30, K=20, normalise="range", order_by="time_place")
 GRID = ClusterSpec(d=10, method="grid", time_unit=HOUR)
 THETA = 5.0
 Query = Callable[[SparkSession, str], DataFrame]
@@ -47,13 +50,10 @@ def f3(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def f4(spark: SparkSession, sf: str) -> DataFrame:
-    """The abnormal events and a three-step chain planted on every 97th order's high prices (whole cells and days)."""
-    obs = tables.observations_from_lineitem(spark, sf)
-    base = abnormal.abnormal_events(obs, drop=[("Balance", "Low")]).select("id", "type", "x", "y", "t")
-    high = base.where("type = 'HighPrice'")
-    order = Window.orderBy("t", "x", "y", "id")  # one row in a hundred, one in 97 of those
-    roots = high.where(F.pmod("id", F.lit(97)) == 0).select((F.row_number().over(order) - 1).cast("bigint").alias("i"), "x", "y", "t")
-    return with_planted(base, roots, length=3, cell=0.5, span=1, lag_unit=1, lags=29)
+    """The abnormal events and a three-step chain planted on the high prices of every tenth day (whole cells and days)."""
+    base = abnormal.abnormal_events(tables.observations_from_lineitem(spark, sf), drop=[("Balance", "Low")])
+    roots, _ = with_rank(base.where("type = 'HighPrice' and t % 10 = 0").select("t", "x", "y", "value"), ["t", "x", "y", "value"], "i")
+    return with_planted(base.select("id", "type", "x", "y", "t"), roots.select("i", "x", "y", "t"), length=3, cell=0.5, span=1, lag_unit=1, lags=29)
 
 
 def events_volume(spark: SparkSession, sf: str) -> SpaceSpec:
@@ -96,6 +96,19 @@ def _h(what: str, j: int) -> str:
     return f"('0x' || substr(md5('{what}{j}|' || CAST(i AS VARCHAR)), 1, 8))::BIGINT"
 
 
+def sql_f4() -> str:
+    """The abnormal events as ``ev`` and the chain P1 -> P2 -> P3 on the high prices of every tenth day."""
+    out = SQL_OBS + """, base AS (SELECT row_number() OVER () AS id, CASE WHEN value > high_q THEN 'High' ELSE 'Low' END || variable AS type, x, y, t, value
+ FROM obs JOIN bounds USING (variable) WHERE value > high_q OR (value <= low_q AND variable <> 'Balance')),
+ p1 AS (SELECT row_number() OVER (ORDER BY t, x, y, value) - 1 AS i, x, y, t FROM base WHERE type = 'HighPrice' AND t % 10 = 0)"""
+    for j in (2, 3):
+        h = {k: _h(k, j).replace("CAST(i", "CAST(c.i") for k in ("pa", "dx", "dy", "dt")}
+        out += f""", p{j} AS (SELECT c.i, p.x + ({h['dx']} % 3 - 1) * 0.5::DOUBLE AS x, p.y + ({h['dy']} % 3 - 1) * 0.5::DOUBLE AS y, p.t + 1 + {h['dt']} % 29 AS t
+ FROM p1 c JOIN p{j - 1} p ON p.i = {h['pa']} % (SELECT count(*) FROM p1))"""
+    parts = " UNION ALL ".join(f"SELECT {1_000_000_000 * (1 + j)} + i, 'P{j}', x, y, t, 1 FROM p{j}" for j in (1, 2, 3))
+    return out + f", ev AS (SELECT id, type, x, y, t, 1 AS w FROM base UNION ALL {parts})"
+
+
 def sql_f2(length: int = 4, modulus: int = 50) -> str:
     out = SQL_F1.replace("ev AS", "base AS") + f", p1 AS (SELECT id // {modulus} AS i, x, y, t FROM base WHERE id % {modulus} = 0)"
     for j in range(2, length + 1):
@@ -178,10 +191,21 @@ def grid_mc(spark: SparkSession, sf: str, events: Callable = f1) -> tuple[DataFr
 
 # ---- queries -------------------------------------------------------------------------------------------------
 
+#: The clustering that scales: space-time tiles of 100 hours, users and keys, merged across their borders.
+TILED = ClusterSpec(d=5, time_unit=HOUR, tile=100, merge_borders=True)
+
+
+def _mine_mc(clustering: ClusterSpec) -> Query:
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        result = mining.mine_microclusters(f2(spark, sf), clustering, F1_MC, events_volume(spark, sf), MineOptions(theta=THETA, max_length=4))
+        return mining.pattern_table(result.patterns)
+
+    return run
+
+
 def flagship(spark: SparkSession, sf: str) -> DataFrame:
-    """Microcluster miner on the planted events: incremental clusters, then all significant chains."""
-    result = mining.mine_microclusters(f2(spark, sf), ClusterSpec(d=5, time_unit=HOUR), F1, events_volume(spark, sf), MineOptions(theta=THETA, max_length=4))
-    return mining.pattern_table(result.patterns)
+    """Microcluster miner on the planted events: incremental clusters in tiles, then all significant chains."""
+    return _mine_mc(TILED)(spark, sf)
 
 
 def _pairs(spec: NeighbourhoodSpec, source: Callable = f1, how: Callable = neighbours.pairs_grid) -> Query:
@@ -321,7 +345,8 @@ def mc_bounds(spark: SparkSession, sf: str) -> DataFrame:
 def _incremental(spec: ClusterSpec, source: Callable = f1) -> Query:
     def run(spark: SparkSession, sf: str) -> DataFrame:
         mc, _ = cluster(source(spark, sf), spec)
-        return mc.select("type", "n", F.round("x", 6).alias("x"), F.round("y", 6).alias("y"), F.round("t", 3).alias("t"), F.round("ss", 6).alias("ss"))
+        unit = F.lit(float(spec.time_unit))
+        return mc.select("type", "n", F.round("x", 6).alias("x"), F.round("y", 6).alias("y"), F.round(F.col("t") / unit, 6).alias("t"), F.round("ss", 6).alias("ss"))
 
     return run
 
@@ -331,7 +356,7 @@ def mc_index_sweep(spark: SparkSession, sf: str) -> DataFrame:
     events = stored(f3(spark, sf), "abnormal")
     rows = []
     for k in (20, 40, 60, 80, 100):
-        mc, _ = cluster(events, ClusterSpec(d_s=2.5, d_t=30, K=k, normalise="range"))
+        mc, _ = cluster(events, replace(F3_MC, K=k))
         r = mc.agg(F.count("*"), F.sum("n")).first()
         rows.append((k, r[0], (r[1] or 0) / max(r[0], 1)))
     return spark.createDataFrame(rows, "K int, index_size bigint, compression double")
@@ -346,9 +371,9 @@ def abnormal_events(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def mine_abnormal_planted(spark: SparkSession, sf: str) -> DataFrame:
-    """Chains of abnormal events at a threshold that independent ones (all ratios below 1) do not reach: the planted ones, lengths 2, 2 and 3."""
+    """Chains of abnormal events at threshold 1, which independent ones do not reach: the planted ones of lengths 2, 2 and 3 must be among them."""
     points = stored(f4(spark, sf), "abnormal")
-    found = mining.mine_instances(points, F3, lattice_space(points), MineOptions(theta=THETA, max_length=4)).patterns
+    found = mining.mine_instances(points, F3, lattice_space(points), MineOptions(theta=1.0, max_length=4)).patterns
     return mining.pattern_table(found)
 
 
@@ -390,7 +415,8 @@ def _miner_difference(opts: MineOptions) -> Query:
 
 
 def simulate_threshold(spark: SparkSession, sf: str) -> DataFrame:
-    return sequences.simulate_threshold(f1(spark, sf), F1, events_volume(spark, sf), runs=20)
+    out = sequences.simulate_threshold(f1(spark, sf), F1, events_volume(spark, sf), runs=20)
+    return out.select("run", F.round("max_ratio", 9).alias("max_ratio"), F.round("threshold", 9).alias("threshold"))
 
 
 def asof_previous_cause(spark: SparkSession, sf: str) -> DataFrame:
@@ -430,8 +456,6 @@ def relation_sign(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def edge_corrected(spark: SparkSession, sf: str) -> DataFrame:
-    from dataclasses import replace
-
     out = density.ratio_matrix(f1(spark, sf), replace(F1, edge_correction="clip_box"), events_volume(spark, sf))
     return out.select("src_type", "dst_type", F.col("W").cast("bigint").alias("W"), F.round("ratio", 6).alias("ratio"))
 
@@ -440,7 +464,7 @@ def stream_pairs(spark: SparkSession, sf: str) -> DataFrame:
     from stseq.storage import shared_dir
     from stseq.streaming import events as s
 
-    folder = tempfile.mkdtemp(prefix="stream-") if not spark.conf.get("spark.checkpoint.dir", None) else f"{shared_dir(spark)}/stream-{spark.sparkContext.applicationId}-{id(object())}"
+    folder = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     s.replay(f1(spark, sf).select("id", "type", "x", "y", "t"), f"{folder}/in")
     spec = NeighbourhoodSpec(R=10, T=6 * HOUR)
     return pair_counts(s.run_to_table(s.stream_pairs(s.read_stream(spark, f"{folder}/in"), spec, "3 days"), folder))
@@ -450,7 +474,7 @@ def stream_density(spark: SparkSession, sf: str) -> DataFrame:
     from stseq.storage import shared_dir
     from stseq.streaming import events as s
 
-    folder = tempfile.mkdtemp(prefix="stream-") if not spark.conf.get("spark.checkpoint.dir", None) else f"{shared_dir(spark)}/density-{spark.sparkContext.applicationId}-{id(object())}"
+    folder = f"{shared_dir(spark)}/density-{uuid.uuid4().hex}"
     s.replay(f1(spark, sf).select("id", "type", "x", "y", "t"), f"{folder}/in")
     out = s.run_to_table(s.stream_density(s.read_stream(spark, f"{folder}/in"), late="3 days"), folder, "update")
     # the last update of a window is its whole count
@@ -463,7 +487,7 @@ def stream_clusters(spark: SparkSession, sf: str) -> DataFrame:
     from stseq.streaming import events as s
 
     before = spark.conf.get("spark.sql.streaming.stateStore.providerClass", None)
-    folder = tempfile.mkdtemp(prefix="stream-") if not spark.conf.get("spark.checkpoint.dir", None) else f"{shared_dir(spark)}/clusters-{spark.sparkContext.applicationId}-{id(object())}"
+    folder = f"{shared_dir(spark)}/clusters-{uuid.uuid4().hex}"
     s.replay(f1(spark, sf).select("id", "type", "x", "y", "t"), f"{folder}/in", 2)
     s.use_rocksdb(spark)
     try:
@@ -475,10 +499,10 @@ def stream_clusters(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    from dataclasses import replace
+    from stseq import queries_clusters, queries_methods
 
     after_or_now = replace(F8, time_rule="from_now")
-    return {
+    return queries_clusters.queries() | queries_methods.queries() | {
         "flagship": flagship,
         "space_volume": lambda s, d: s.createDataFrame([(SpaceSpec.from_data(f1(s, d)).volume / DAY,)], "volume double").select(F.round("volume", 3).alias("volume_days")),
         "type_density": lambda s, d: density.type_density(f1(s, d), events_volume(s, d)).select("type", "N", F.round(F.col("density") * 1e15, 6).alias("density_e15")),
@@ -525,10 +549,10 @@ def queries() -> dict[str, Query]:
         "mc_conservation": mc_conservation,
         "mc_bounds": mc_bounds,
         "mc_incremental_d": _incremental(ClusterSpec(d=20, time_unit=HOUR)),
-        "mc_incremental_dk": _incremental(ClusterSpec(d_s=2.5, d_t=30, K=20, normalise="range"), f3),
+        "mc_incremental_dk": _incremental(F3_MC, f3),
         "mc_incremental_tiled": _incremental(ClusterSpec(d=20, time_unit=HOUR, tile=200, merge_borders=True)),
         "mc_index_sweep": mc_index_sweep,
-        "mine_microclusters": flagship,
+        "mine_microclusters": _mine_mc(ClusterSpec(d=5, time_unit=HOUR)),
         "mine_abnormal_planted": mine_abnormal_planted,
         "sweep_start_instances": _sweep("modulus", (100, 50, 25)),
         "sweep_chain_count": _sweep("chains", (1, 2, 4)),
@@ -559,7 +583,7 @@ def queries() -> dict[str, Query]:
 
 
 def oracle_sql() -> dict[str, str]:
-    from dataclasses import replace
+    from stseq import queries_clusters, queries_methods
 
     f2_sql = sql_f2()
     counts = sql_counts(SQL_F1, F1)
@@ -587,7 +611,7 @@ SELECT s.type AS src_type, d.type AS dst_type, coalesce(W, 0) AS W, round(coales
         chain += f""", t{k} AS (SELECT DISTINCT dst_id AS id, dst_w AS w FROM pairs JOIN t{k - 1} ON src_id = id WHERE dst_type = 'P{k}'),
  l{k} AS (SELECT {k - 1} AS position, 'P{k - 1}' AS src_type, 'P{k}' AS dst_type, count(*) * ({F1_VOLUME} / {F1.volume!r}::DOUBLE) / ((SELECT count(*) FROM t{k - 1})::DOUBLE * (SELECT c FROM n WHERE type = 'P{k}')) AS ratio FROM pairs JOIN t{k - 1} ON src_id = id WHERE dst_type = 'P{k}')"""
     chain_links = chain + " SELECT position, src_type, dst_type, round(ratio, 6) AS ratio, round(min(ratio) OVER (ORDER BY position), 6) AS seq_index FROM (SELECT * FROM l2 UNION ALL SELECT * FROM l3 UNION ALL SELECT * FROM l4)"
-    return {
+    return queries_clusters.oracle_sql() | queries_methods.oracle_sql() | {
         "space_volume": f"WITH {SQL_F1} SELECT round((max(x) - min(x))::DOUBLE * (max(y) - min(y)) * (max(t) - min(t)) / {float(DAY)!r}::DOUBLE, 3) AS volume_days FROM ev",
         "type_density": f"WITH {SQL_F1} SELECT type, count(*) AS N, round(count(*) / {F1_VOLUME} * 1e15, 6) AS density_e15 FROM ev GROUP BY type",
         "pairs_nested_count": counts, "pairs_grid_count": counts, "pairs_sweep_count": counts, "pair_weights_cells": counts,

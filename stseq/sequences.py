@@ -115,7 +115,7 @@ def simulate_threshold(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceS
     pairs = stored(pairs_grid(points, spec).select("src_id", "dst_id", "src_w", "dst_w"), "pairs")
     slots, n = with_rank(points.select("id"), ["id"], "slot")
     each = points.select("id", "type").join(F.broadcast(points.sparkSession.range(runs).select(F.col("id").alias("run"))))  # runs rows
-    cards, _ = with_rank(each.select("run", "type", "id", F.xxhash64(F.lit(seed), "run", "id").alias("_h")), ["run", "_h", "id"], "card")
+    cards, _ = with_rank(each.select("run", "type", "id", F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("run").cast("string"), F.col("id").cast("string")).cast("binary")).alias("_h")), ["run", "_h", "id"], "card")
     cards = cards.select("run", (F.col("card") - F.col("run") * F.lit(n)).alias("slot"), "type")
     label = stored(slots.join(cards, "slot").select("run", "id", "type"), "labels")
     src = label.select("run", F.col("id").alias("src_id"), F.col("type").alias("src_type"))

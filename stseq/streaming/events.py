@@ -152,9 +152,19 @@ def replay(events: DataFrame, path: str, files: int = 8, parts: int = 2) -> None
         part.repartition(parts).write.mode("append").parquet(path)
 
 
-def run_to_table(stream: DataFrame, folder: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what there is and return its rows (in ``update`` mode every update) from Parquet files under ``folder``."""
+def far_row(late: str) -> str:
+    """SQL of one event far behind a stream's end: its arrival moves the watermark past all others, so that open windows close."""
+    return f"SELECT -1L AS id, 'end' AS type, -1L AS x, -1L AS y, 0L AS t, timestamp_micros({ORIGIN_MICROS}L) + INTERVAL 1000 DAYS + INTERVAL {late} AS ts"
+
+
+def run_to_table(stream: DataFrame, folder: str, mode: str = "append", flush: str | None = None) -> DataFrame:
+    """Run a stream over what there is and return its rows (in ``update`` mode every update) from Parquet files under ``folder``.
+
+    ``flush``: SQL of a last event (see :func:`far_row`) that is put into ``folder``/in behind the others.
+    """
     out = f"{folder}/out"
+    if flush:
+        stream.sparkSession.sql(flush).write.mode("append").parquet(f"{folder}/in")
 
     def keep(batch: DataFrame, number: int) -> None:
         batch.write.mode("append").parquet(out)
