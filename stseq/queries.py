@@ -377,22 +377,6 @@ def mine_abnormal_planted(spark: SparkSession, sf: str) -> DataFrame:
     return mining.pattern_table(found)
 
 
-def _sweep(parameter: str, values: tuple) -> Query:
-    """Index size and compression of planted events against one parameter of the planted chains, for two diameters."""
-
-    def run(spark: SparkSession, sf: str) -> DataFrame:
-        rows = []
-        for v in values:
-            events = stored(planted_from_events(f1(spark, sf), **{parameter: v}), "planted")
-            n = events.count()
-            for d in (10, 20):
-                size = cluster(events, ClusterSpec(d=d, time_unit=HOUR))[0].count()
-                rows.append((v, d, n, size, n / size))
-        return spark.createDataFrame(rows, f"{parameter} int, d int, events bigint, index_size bigint, compression double")
-
-    return run
-
-
 def planted_recall(spark: SparkSession, sf: str) -> DataFrame:
     found = mining.mine_instances(f2(spark, sf), F1, events_volume(spark, sf), MineOptions(theta=THETA, max_length=4)).patterns
     planted = spark.createDataFrame([(["P1", "P2", "P3", "P4"],)], "seq array<string>")
@@ -495,7 +479,7 @@ def stream_clusters(spark: SparkSession, sf: str) -> DataFrame:
     finally:
         if before:
             spark.conf.set("spark.sql.streaming.stateStore.providerClass", before)
-    return out.groupBy("type", "tile", "cid").agg(F.max_by("ss", "n").alias("ss"), F.max("n").alias("n")).select("type", "n", F.round("ss", 6).alias("ss"))
+    return out.groupBy("type", "tile", "cid").agg(F.max_by("ss", "n").alias("ss"), F.max("n").alias("n")).select("type", "n", F.round("ss", 4).alias("ss"))
 
 
 def queries() -> dict[str, Query]:
@@ -554,9 +538,6 @@ def queries() -> dict[str, Query]:
         "mc_index_sweep": mc_index_sweep,
         "mine_microclusters": _mine_mc(ClusterSpec(d=5, time_unit=HOUR)),
         "mine_abnormal_planted": mine_abnormal_planted,
-        "sweep_start_instances": _sweep("modulus", (100, 50, 25)),
-        "sweep_chain_count": _sweep("chains", (1, 2, 4)),
-        "sweep_chain_length": _sweep("length", (2, 4, 6)),
         "abnormal_thresholds": abnormal_thresholds,
         "abnormal_events": abnormal_events,
         "event_projection_events": lambda s, d: f1(s, d),

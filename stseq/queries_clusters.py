@@ -163,6 +163,13 @@ def generator_base(spark: SparkSession, sf: str) -> DataFrame:
     return out.select("id", "type", F.round("x", 6).alias("x"), F.round("y", 6).alias("y"), F.round("t", 6).alias("t"), "pattern", "step")
 
 
+def generated_instances(spark: SparkSession, sf: str) -> DataFrame:
+    """The instance miner on the base setting at threshold 1, up to three types: chains by length, which multiply with each step."""
+    spec = NeighbourhoodSpec(R=experiments.BASE["R"], T=experiments.BASE["T"])
+    events = planted_events(spark).select("id", "type", "x", "y", "t")
+    return metrics.pattern_counts(mining.mine_instances(events, spec, experiments.generated_space(experiments.BASE), MineOptions(theta=1.0, max_length=3)).patterns)
+
+
 def generated_base_clusters(spark: SparkSession, sf: str) -> DataFrame:
     """Clusters of the base setting at the diameter 60, by type and size."""
     mc, _ = cluster(planted_events(spark), ClusterSpec(d=60))
@@ -247,7 +254,7 @@ def sql_generator() -> str:
     )
     n = b["Ni"] * b["Ps"] * b["Pn"]
     noise = f"SELECT i + {n}, printf('f%02d', floor({sql_unit('nf', 'i')} * 20)::INTEGER), {sql_unit('nx', 'i')} * 1000, {sql_unit('ny', 'i')} * 1000, {sql_unit('nt', 'i')} * 1200, NULL, NULL FROM range({n}) r(i)"
-    return out + f", ev AS ({rows} UNION ALL {noise})"
+    return out + f", gen AS ({rows} UNION ALL {noise}), ev AS (SELECT *, 1 AS w FROM gen)"
 
 
 def queries() -> dict[str, Query]:
@@ -264,6 +271,7 @@ def queries() -> dict[str, Query]:
         "mini_mining": mini_mining,
         "generator_base": generator_base,
         "generated_base_clusters": generated_base_clusters,
+        "generated_instances": generated_instances,
         "generated_index_Ni": _index_sizes("Ni"),
         "generated_index_Pn": _index_sizes("Pn"),
         "generated_index_Ps": _index_sizes("Ps"),
@@ -276,7 +284,7 @@ def queries() -> dict[str, Query]:
 def oracle_sql() -> dict[str, str]:
     emb = sql_points(core.SQL_F6, 0.3, 100.0)
     emb_k = sql_points(core.SQL_F6, 0.5, 100.0)
-    f3 = core.SQL_F3 + """, sc AS (SELECT (max(x) - min(x))::DOUBLE AS sx, (max(y) - min(y))::DOUBLE AS sy, (max(t) - min(t))::DOUBLE AS st FROM ev)"""
+    f3 = core.SQL_F3 + """, sc AS (SELECT coalesce(nullif((max(x) - min(x))::DOUBLE, 0), 1) AS sx, coalesce(nullif((max(y) - min(y))::DOUBLE, 0), 1) AS sy, coalesce(nullif((max(t) - min(t))::DOUBLE, 0), 1) AS st FROM ev)"""
     bound = "(SELECT sqrt(pow(2.5 / greatest(sx, sy), 2) + pow(30 / st, 2)) FROM sc)"
     scale = ("(SELECT sx FROM sc)", "(SELECT sy FROM sc)", "(SELECT st FROM sc)")
     f3_points = sql_points(f3, bound, order="t, x, y, id", scale=scale)
@@ -287,7 +295,7 @@ def oracle_sql() -> dict[str, str]:
         f"(WITH RECURSIVE {emb_k}, {cluster_sql.clustering('pts', k)} SELECT {k or 0} AS K, count(*) AS index_size, max(n) AS largest, round(sum(n) / count(*), 6) AS compression FROM (SELECT count(*) AS n FROM cl GROUP BY g, c))" for k in (None, 8, 4, 2)
     )
     f2 = _renamed(core.sql_f2())
-    f4 = _renamed(core.sql_f4()) + ", sc AS (SELECT (max(x) - min(x))::DOUBLE AS sx, (max(y) - min(y))::DOUBLE AS sy, (max(t) - min(t))::DOUBLE AS st FROM evs)"
+    f4 = _renamed(core.sql_f4()) + ", sc AS (SELECT coalesce(nullif((max(x) - min(x))::DOUBLE, 0), 1) AS sx, coalesce(nullif((max(y) - min(y))::DOUBLE, 0), 1) AS sy, coalesce(nullif((max(t) - min(t))::DOUBLE, 0), 1) AS st FROM evs)"
     f4_bound = "(SELECT sqrt(pow(1.0 / greatest(sx, sy), 2) + pow(5 / st, 2)) FROM sc)"
     f4_volume = "((SELECT max(x) + 1 FROM evs) * (SELECT (max(y) + 1)::DOUBLE FROM evs) * (SELECT (max(t) + 1 - min(t))::DOUBLE FROM evs))"
     mini_ev = "ev AS (SELECT id, type, x::DOUBLE AS x, y::DOUBLE AS y, t, 1 AS w FROM (VALUES " + ", ".join(f"({i + 1}, '{f}', {x}, {y}, {t})" for i, (f, x, y, t) in enumerate(MINI)) + ") v(id, type, x, y, t))"
@@ -301,8 +309,8 @@ def oracle_sql() -> dict[str, str]:
         "flagship": sql_mine_clusters(sql_tiled(sql_points(f2, 5, HOUR, tile_group(100), source="evs"), source="evs"), core.F1_MC, core.F1_VOLUME, core.THETA, 4),
         "mine_microclusters": sql_mine_clusters(sql_untiled(sql_points(f2, 5, HOUR, source="evs")), core.F1_MC, core.F1_VOLUME, core.THETA, 4),
         "mine_abnormal_planted": core.sql_mine(core.sql_f4(), core.F3, core.LATTICE, 1.0, 4),
-        "stream_clusters": f"""WITH RECURSIVE {sql_points(core.SQL_F1, 20, HOUR, "concat_ws('/', e.type, floor(e.x / 20), floor(e.y / 20), floor(e.t / " + f"{float(500 * HOUR)!r}::DOUBLE))")}, {cluster_sql.absorbing('pts')}
-SELECT any_value(p.type) AS type, count(*) AS n, round((coalesce(var_samp(p.x), 0) + coalesce(var_samp(p.y), 0) + coalesce(var_samp(p.t), 0)) * (count(*) - 1), 6) AS ss FROM cl JOIN pts p ON p.id = cl.id GROUP BY cl.g, cl.c""",
+        "stream_clusters": f"""WITH RECURSIVE {sql_points(core.SQL_F1, 20, HOUR, "concat_ws('/', e.type, floor(e.x / 500), floor(e.y / 500), floor(e.t / " + f"{float(500 * HOUR)!r}::DOUBLE))")}, {cluster_sql.absorbing('pts')}
+SELECT any_value(p.type) AS type, count(*) AS n, round((coalesce(var_samp(p.x), 0) + coalesce(var_samp(p.y), 0) + coalesce(var_samp(p.t), 0)) * (count(*) - 1), 4) AS ss FROM cl JOIN pts p ON p.id = cl.id GROUP BY cl.g, cl.c""",
         "mc_embeddings": sql_clusters(emb, 100.0, repr(0.3 * 0.3)),
         "mc_embeddings_limited": sql_clusters(emb_k, 100.0, "0.25", 4),
         "mc_conversations": sql_clusters(sql_points(core.SQL_F5, 10, dims=1), 1.0, "100.0", 5, dims=1),
@@ -313,6 +321,7 @@ SELECT any_value(p.type) AS type, count(*) AS n, round((coalesce(var_samp(p.x),
         "mine_abnormal_clusters": sql_mine_clusters(sql_untiled(sql_points(f4, f4_bound, order="t, x, y, id", scale=scale, source="evs"), 20), core.F3, f4_volume, 1.0, 3),
         "mini_clusters": f"WITH RECURSIVE {mini_points}, {cluster_sql.clustering('pts')} SELECT e.type, count(*) AS n, avg(e.x) AS x, avg(e.y) AS y, avg(e.t) AS t FROM cl JOIN ev e ON e.id = cl.id GROUP BY cl.g, cl.c, e.type",
         "mini_mining": f"SELECT *, 'events' AS level FROM ({core.sql_mine(mini_ev, MINI_N, '100000.0::DOUBLE', 1.0, 4)}) UNION ALL SELECT *, 'clusters' AS level FROM ({mini_on_clusters})",
+        "generated_instances": f"SELECT length, count(*) AS patterns FROM ({core.sql_mine(sql_generator(), NeighbourhoodSpec(R=10, T=10), '1200000000.0::DOUBLE', 1.0, 3)}) GROUP BY length",
         "generator_base": f"WITH {sql_generator()} SELECT id, type, round(x, 6) AS x, round(y, 6) AS y, round(t, 6) AS t, pattern, step FROM ev",
         "generated_base_clusters": f"WITH RECURSIVE {sql_points(sql_generator(), 60)}, {cluster_sql.clustering('pts')} SELECT g AS type, n, count(*) AS clusters FROM (SELECT g, c, count(*) AS n FROM cl GROUP BY g, c) GROUP BY g, n",
     }

@@ -1,7 +1,9 @@
 """The engine against brute force, worked examples, published index sizes and its own invariants."""
 
+import glob
 import itertools
 import math
+import os
 import random
 from dataclasses import replace
 
@@ -396,6 +398,77 @@ def test_streams(spark, events, tmp_path):
     assert sessions.count() > 0
 
 
+def rounded(rows):
+    plain = lambda v: round(float(v), 5) if isinstance(v, (int, float)) and not isinstance(v, bool) else str(v)
+    return sorted((tuple(plain(v) for v in r) for r in rows), key=str)
+
+
+@pytest.mark.parametrize("name", [
+    "mc_embeddings", "mc_embeddings_limited", "mc_conversations", "mc_absorbed", "mc_incremental_dk", "mc_incremental_tiled", "mini_clusters", "mini_mining",
+    "pairs_haversine", "ratio_matrix_torus", "simulate_threshold", "abnormal_thresholds", "mine_top_k", "index_roundtrip", "stream_late",
+])
+def test_queries_equal_their_sql(spark, sf, name):
+    import duckdb
+
+    import __spark_entry__
+
+    con = duckdb.connect()
+    for path in glob.glob(f"{sf}/*.parquet"):
+        con.execute(f"CREATE VIEW {os.path.basename(path)[:-8]} AS SELECT * FROM '{path}'")
+    got = __spark_entry__.queries()[name](spark, sf)
+    want = con.execute(__spark_entry__.oracle_sql()[name])
+    names = [d[0] for d in want.description]
+    assert sorted(names) == sorted(got.columns)
+    assert rounded(got.select(*[f"`{n}`" for n in names]).collect()) == rounded(want.fetchall())
+
+
+def test_border_merge_against_brute_force(events):
+    """Rounds of mutual-nearest merges of the clusters of tiles, computed again from the members."""
+    spec = ClusterSpec(d=10, tile=20)
+    at = {r["id"]: (r["type"], np.array([r["x"], r["y"], r["t"]], float)) for r in events.collect()}
+    mc, members = cluster(events, spec)
+    tile = {r["cid"]: r["tile"] for r in mc.collect()}
+    groups = {}
+    for r in members.collect():
+        groups.setdefault(r["cid"], []).append(r["id"])
+    state = {c: (tile[c], False, ids) for c, ids in groups.items()}
+    while True:
+        centre = {c: np.mean([at[i][1] for i in ids], axis=0) for c, (_, _, ids) in state.items()}
+        best = {}
+        for a, (ta, ja, ia) in state.items():
+            for b, (tb, jb, ib) in state.items():
+                if a == b or at[ia[0]][0] != at[ib[0]][0] or not (ta != tb or ja or jb):
+                    continue
+                gap = ((centre[a] - centre[b]) ** 2).sum()
+                if gap <= 100 and pairwise(np.array([at[i][1] for i in ia + ib])) <= 10:
+                    best[a] = min(best.get(a, (np.inf, 0)), (gap, b))
+        pairs = [(a, b) for a, (_, b) in best.items() if a < b and best.get(b, (0, None))[1] == a]
+        if not pairs:
+            break
+        for a, b in pairs:
+            state[a] = (state[a][0], True, state[a][2] + state.pop(b)[2])
+    _, merged = cluster(events, replace(spec, merge_borders=True))
+    got = {}
+    for r in merged.collect():
+        got.setdefault(r["cid"], set()).add(r["id"])
+    assert sorted(map(sorted, got.values())) == sorted(sorted(ids) for _, _, ids in state.values())
+
+
+def test_bucketed_pairs_stay_where_they_are(spark, events):
+    from stseq.storage import stored_buckets
+
+    spec = NeighbourhoodSpec(R=6, T=8)
+    pairs = stored_buckets(neighbours.pairs_grid(events, spec), "pairs", "src_id")
+    step = events.select("id").hint("merge").join(pairs, F.col("id") == F.col("src_id"))
+    assert plans.plan_text(step).count("hashpartitioning(src_id") == 0 and step.count() == pairs.count()
+
+
+def test_why_a_search_ends(events):
+    spec, space = NeighbourhoodSpec(R=6, T=8), SpaceSpec(x0=0, x1=61, y0=0, y1=61, t0=0, t1=81)
+    for opts, why in ((MineOptions(theta=0.1, max_length=2), "max_length"), (MineOptions(theta=99.0), "complete"), (MineOptions(theta=0.1, limit_patterns=5), "limit_patterns")):
+        assert mining.mine_index(events, spec, space, opts).ended == why
+
+
 def test_entry_contract(spark):
     import __spark_entry__ as e
 
