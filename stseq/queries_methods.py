@@ -270,8 +270,9 @@ def oracle_sql() -> dict[str, str]:
     arc = "degrees(2 * asin(least(1.0::DOUBLE, sqrt(pow(sin(radians(b.y - a.y) / 2), 2) + cos(radians(a.y)) * cos(radians(b.y)) * pow(sin(radians(b.x - a.x) / 2), 2)))))"
     span = 720 * HOUR
     torus = f"""WITH {f1}, u AS (SELECT max(user_id) + 1 AS m FROM events), n AS (SELECT type, count(*) AS c FROM ev GROUP BY type),
- wt AS (SELECT a.type AS src_type, b.type AS dst_type, count(*) AS W FROM ev a JOIN ev b ON a.id <> b.id, u
-  WHERE (b.t - a.t + {span}) % {span} > 0 AND (b.t - a.t + {span}) % {span} <= {DAY} AND pow(least(abs(b.x - a.x), m - abs(b.x - a.x)), 2) + pow(least(abs(b.y - a.y), 100 - abs(b.y - a.y)), 2) <= 100 GROUP BY ALL)
+ im AS (SELECT id, type, x + i * m AS x, y + j * 100 AS y, t + k * {span} AS t FROM ev, u, (VALUES (-1), (0), (1)) p(i), (VALUES (-1), (0), (1)) q(j), (VALUES (-1), (0), (1)) r(k)
+  WHERE x + i * m BETWEEN -10 AND m + 10 AND y + j * 100 BETWEEN -10 AND 110 AND t + k * {span} BETWEEN 0 AND {span + DAY}),
+ wt AS (SELECT a.type AS src_type, b.type AS dst_type, count(*) AS W FROM ev a JOIN im b ON a.id <> b.id AND b.t > a.t AND b.t <= a.t + {DAY} AND (b.x - a.x) * (b.x - a.x) + (b.y - a.y) * (b.y - a.y) <= 100 GROUP BY ALL)
 SELECT s.type AS src_type, d.type AS dst_type, coalesce(W, 0) AS W, s.c AS src_n, d.c AS dst_n, round(coalesce(W, 0) * ({volume} / {core.F1.volume!r}::DOUBLE) / (s.c::DOUBLE * d.c), 6) AS ratio
 FROM n s CROSS JOIN n d LEFT JOIN wt ON wt.src_type = s.type AND wt.dst_type = d.type"""
     tail2 = f"WITH {f2}, {core.sql_pairs(core.F1)}, t2 AS (SELECT DISTINCT dst_id AS id FROM pairs WHERE src_type = 'P1' AND dst_type = 'P2')"
