@@ -1,16 +1,19 @@
 """Benchmark decontamination by pigeonhole edit matching.
 
-An item of n normalised characters may differ from a passage in up to e = floor(n * ``BUDGET``) edits. Cut into
+Texts are compared as lower-case letters and digits of any script, everything else being one space; lengths and edits
+count characters. An item of n characters may differ from a passage in up to e = floor(n * ``BUDGET``) edits. Cut into
 e+1 pieces, at least one piece stands in the passage unchanged. One automaton over all pieces finds the exact
 hits in each whole text; around a hit Myers' bit-parallel scan gives the least edit distance between the item
-and any substring, and the item is found if that is at most e. Items below ``SHORTEST`` bytes are found exactly, between word borders.
+and any substring, and the item is found if that is at most e. Items below ``SHORTEST`` characters are found exactly, between word borders.
 
-The benchmark is broadcast to the tasks, after a check of its size.
+The benchmark is broadcast to the tasks in runs of a bounded size; a larger one takes more passes over the texts.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -20,24 +23,29 @@ from pyspark.sql import functions as F
 from stseq.llm.common import stored
 from stseq.llm.textblock import give_back
 
-#: Edits allowed, as a share of an item's length, and the shortest item (normalised bytes) that may differ at all.
+#: Edits allowed, as a share of an item's length, and the shortest item (normalised characters) that may differ at all.
 BUDGET, SHORTEST = 0.05, 40
-#: Bytes of normalised benchmark text that may be broadcast.
+#: Bytes of benchmark text that may be broadcast at once.
 BROADCAST_BYTES = 64 << 20
 _CLEAN = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 
 
-def normalise(text: bytes) -> bytes:
-    """Lower-case A-Z, punctuation and white space to single spaces."""
-    return b" ".join(text.translate(_CLEAN).split())
+_ODD = re.compile(r"[\W_]+")
 
 
-def myers(pattern: bytes, text: bytes, limit: int) -> tuple[int, int] | None:
+def normalise(text: str) -> str:
+    """Lower-case letters and digits of any script; all else is single spaces."""
+    if text.isascii():
+        return b" ".join(text.encode().translate(_CLEAN).split()).decode()
+    return _ODD.sub(" ", text.lower()).strip()
+
+
+def myers(pattern: str, text: str, limit: int) -> tuple[int, int] | None:
     """Least edit distance between ``pattern`` and a substring of ``text``, and where the first such one ends; None above ``limit``."""
     m = len(pattern)
     if not m:
         return (0, 0)
-    masks: dict[int, int] = {}
+    masks: dict[str, int] = {}
     for i, c in enumerate(pattern):
         masks[c] = masks.get(c, 0) | (1 << i)
     full, high = (1 << m) - 1, 1 << (m - 1)
@@ -65,10 +73,10 @@ def myers(pattern: bytes, text: bytes, limit: int) -> tuple[int, int] | None:
 class Items:
     """The automaton over the pieces of all items."""
 
-    def __init__(self, items: list[tuple[int, bytes]], budget: float = BUDGET, shortest: int = SHORTEST):
+    def __init__(self, items: list[tuple[int, str]], budget: float = BUDGET, shortest: int = SHORTEST):
         self.items = [(i, t, int(len(t) * budget) if len(t) >= shortest else 0) for i, t in items if t]
         self.shortest = shortest
-        where: dict[bytes, list[tuple[int, int]]] = {}
+        where: dict[str, list[tuple[int, int]]] = {}
         for k, (_, t, e) in enumerate(self.items):
             cuts = np.linspace(0, len(t), e + 2).astype(int)
             for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
@@ -79,15 +87,15 @@ class Items:
 
             self.automaton = ahocorasick.Automaton()
             for piece, at in where.items():
-                self.automaton.add_word(piece.decode("latin-1"), (len(piece), at))
+                self.automaton.add_word(piece, (len(piece), at))
             self.automaton.make_automaton()
 
-    def find(self, text: bytes) -> list[tuple[int, int, int, int]]:
+    def find(self, text: str) -> list[tuple[int, int, int, int]]:
         """(item_id, distance, start of the window, end of the match) of each item found in a normalised text."""
         if self.automaton is None or not text:
             return []
         spots: dict[int, set[int]] = {}
-        for end, (n, at) in self.automaton.iter(text.decode("latin-1")):
+        for end, (n, at) in self.automaton.iter(text):
             for k, a in at:
                 m = len(self.items[k][1])
                 if m < self.shortest:  # one exact copy between word borders will do
@@ -119,53 +127,57 @@ class Items:
         return out
 
 
-def benchmark_items(benchmark: DataFrame, limit: int = BROADCAST_BYTES) -> list[tuple[int, bytes]]:
-    """Normalised items; fails if they are too large to broadcast (cut the benchmark into several runs then)."""
-    size = benchmark.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    if size > limit:
-        raise ValueError(f"benchmark of {size} bytes is above the broadcast bound of {limit}")
-    rows = benchmark.where("text is not null and item_id is not null").select("item_id", "text").distinct().collect()
-    return sorted((r["item_id"], normalise(r["text"].encode())) for r in rows)
+def benchmark_runs(benchmark: DataFrame, limit: int = BROADCAST_BYTES) -> list[list[tuple[int, str]]]:
+    """Normalised items in runs of about ``limit`` bytes at most; rows with a null are left out."""
+    rows = benchmark.where("text is not null and item_id is not null").select("item_id", "text").distinct()
+    size = rows.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    n = max(1, -(-2 * size // limit)) if size > limit else 1  # dealt by a hash, so half full
+    runs = (rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k).collect() for k in range(n))
+    return [sorted((r["item_id"], normalise(r["text"])) for r in run) for run in runs]
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, budget: float = BUDGET, shortest: int = SHORTEST) -> DataFrame:
+def contaminated(docs: DataFrame, benchmark: DataFrame, budget: float = BUDGET, shortest: int = SHORTEST, limit: int = BROADCAST_BYTES) -> DataFrame:
     """doc_id, item_id, distance, match_start, match_end for each item found in each row.
 
-    Positions are bytes of the normalised text. Items shorter than ``shortest`` bytes are looked for exactly, as whole words; a
-    null or empty text holds none; repeated rows are reported each.
+    Positions are characters of the normalised text. Items shorter than ``shortest`` characters are looked for exactly, as whole
+    words; a null or empty text holds none; repeated rows are reported each.
     """
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(benchmark_items(benchmark))
     kind = docs.schema["doc_id"].dataType.simpleString()
+    texts = docs.select("doc_id", "text")
+
+    def one(shared) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            items = Items(shared.value, budget, shortest)
+            for b in batches:
+                ids, found = [], []
+                for i in range(b.num_rows):
+                    for hit in items.find(normalise(b.column(1)[i].as_py() or "")):
+                        ids.append(b.column(0)[i].as_py())
+                        found.append(hit)
+                cols = list(zip(*found)) if found else [[], [], [], []]
+                yield pa.RecordBatch.from_arrays([pa.array(ids, b.schema.field(0).type), *(pa.array(c, pa.int64()) for c in cols)], names=["doc_id", "item_id", "distance", "match_start", "match_end"])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        items = Items(shared.value, budget, shortest)
-        for b in batches:
-            ids, found = [], []
-            for at in range(0, b.num_rows):
-                for hit in items.find(normalise(b.column(1)[at].as_py() or b"")):
-                    ids.append(b.column(0)[at].as_py())
-                    found.append(hit)
-            cols = list(zip(*found)) if found else [[], [], [], []]
-            yield pa.RecordBatch.from_arrays([pa.array(ids, b.schema.field(0).type), *(pa.array(c, pa.int64()) for c in cols)], names=["doc_id", "item_id", "distance", "match_start", "match_end"])
+        return texts.mapInArrow(run, f"doc_id {kind}, item_id bigint, distance bigint, match_start bigint, match_end bigint")
 
-    return docs.select("doc_id", F.col("text").cast("binary")).mapInArrow(run, f"doc_id {kind}, item_id bigint, distance bigint, match_start bigint, match_end bigint")
+    return reduce(DataFrame.unionByName, [one(docs.sparkSession.sparkContext.broadcast(items)) for items in benchmark_runs(benchmark, limit)])
 
 
-def remove_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
+def remove_contaminated(docs: DataFrame, benchmark: DataFrame, limit: int = BROADCAST_BYTES) -> DataFrame:
     """The rows whose text holds no item; the columns of ``docs``. The test runs where the rows are, without a join.
 
-    The rows are stored once, in small Arrow batches, since whole rows pass through Python.
+    The rows are stored once for each run of the benchmark, in small Arrow batches, since whole rows pass through Python.
+    Null and empty texts stay; repeated rows stay or go together.
     """
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(benchmark_items(benchmark))
+    at = docs.columns.index("text")
 
-    def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        items = Items(shared.value)
-        for b in batches:
-            keep = [not items.find(normalise((t.as_py() or "").encode())) for t in b.column(at)]
-            yield b.filter(pa.array(keep))
-        give_back()
+    def one(rows: DataFrame, shared) -> DataFrame:
+        def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            items = Items(shared.value)
+            for b in batches:
+                keep = [not items.find(normalise(t.as_py() or "")) for t in b.column(at)]
+                yield b.filter(pa.array(keep))
+            give_back()
 
-    at = docs.columns.index("text")
-    return stored(docs.mapInArrow(clean, docs.schema), "clean")
+        return stored(rows.mapInArrow(clean, rows.schema), "clean")
+
+    return reduce(one, [docs.sparkSession.sparkContext.broadcast(items) for items in benchmark_runs(benchmark, limit)], docs)

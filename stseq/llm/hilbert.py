@@ -13,11 +13,9 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from stseq.llm.common import inline_rows, stored, with_rank
+from stseq.llm.common import checked_small, inline_rows, stored, with_rank
 
 BITS = 8
-#: A dimension of strings with at most so many values is quantised by rank (collected, so bounded), else by hash.
-RANKED_VALUES = 4096
 
 
 def hilbert_index(cells: np.ndarray, bits: int = BITS) -> np.ndarray:
@@ -58,15 +56,15 @@ def size_cell(size: Column, bits: int = BITS) -> Column:
     return F.least(F.lit((1 << bits) - 1), F.floor(F.log2(size.cast("double")) * 8)).cast("int")
 
 
-def string_cell(df: DataFrame, name: str, bits: int = BITS) -> Column:
-    """Rank of the value among the column's values, spread over the cells; a hash where there are too many values."""
-    values = sorted((r[0] for r in df.groupBy(name).count().where(F.col(name).isNotNull()).limit(RANKED_VALUES + 1).select(name).collect()))
-    if len(values) > RANKED_VALUES:
-        return F.when(F.col(name).isNull(), 0).otherwise(F.pmod(F.xxhash64(name), F.lit(1 << bits))).cast("int")
-    if not values:
-        return F.lit(0)
-    table = F.create_map(*[F.lit(v) for i, x in enumerate(values) for v in (x, ((i + 1) << bits) // (len(values) + 1))])
-    return F.coalesce(table[F.col(name)], F.lit(0)).cast("int")
+def with_string_cell(df: DataFrame, name: str, out: str, bits: int = BITS) -> DataFrame:
+    """Add the rank of the value among the column's distinct values, spread over the cells; null is cell 0.
+
+    The distinct values are ranked over all tasks, however many there are; their table is broadcast only if it is small.
+    """
+    values, n = with_rank(df.select(F.col(name).alias("_value")).where("_value is not null").distinct(), ["_value"], "_rank")
+    cells = values.select("_value", F.expr(f"cast(((_rank + 1) * {1 << bits}L) div {n + 1}L as int)").alias(out))
+    joined = df.join(checked_small(cells, f"cells-{out}"), F.col(name) == F.col("_value"), "left").drop("_value")
+    return joined.withColumn(out, F.coalesce(out, F.lit(0)))
 
 
 def with_curve(df: DataFrame, cells: list[str], bits: int = BITS, name: str = "curve") -> DataFrame:
@@ -88,10 +86,9 @@ def shard_documents(docs: DataFrame, shards: int = 24, law: str = "rows") -> Dat
         raise ValueError(f"unknown law {law}")
     text = F.coalesce(F.col("text"), F.lit(""))
     size = F.octet_length(text).cast("long") + 8
-    tagged = docs.select(
-        "doc_id", size.alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"),
-        string_cell(docs, "lang").alias("c0"), string_cell(docs, "source").alias("c1"), size_cell(size).alias("c2"),
-    )
+    tagged = docs.select("doc_id", size.alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), "lang", "source", size_cell(size).alias("c2"))
+    for at, name in enumerate(("lang", "source")):
+        tagged = with_string_cell(tagged, name, f"c{at}").drop(name)
     keyed = stored(with_curve(tagged, ["c0", "c1", "c2"]).drop("c0", "c1", "c2"), "curve")
     ranked, n = with_rank(keyed, ["curve", "text_crc32", "doc_id"])
     rank = F.col("rank")

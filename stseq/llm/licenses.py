@@ -1,10 +1,11 @@
 """License scan: MinHash bands over overlapping windows retrieve templates, exact shingle containment verifies.
 
 Texts and templates are reduced to lower-case letters and digits. A template of L words is looked for with
-windows of 2*S shingles every S shingles, S the power of two of at least L: one window holds it whole, at a
-Jaccard similarity of at least about 1/4. With ``BANDS`` bands of one MinHash each, a window that holds a
-template collides with it with probability 1-(3/4)**BANDS or more. A hit counts if ``CONTAINMENT`` of the
-template's distinct 3-word shingles stand in the window.
+windows of 2*S shingles every S shingles, S the power of two of at least L (8 at least): one window holds it whole, at a
+Jaccard similarity of about 1/4, and L/16 for those below 8 words (3/16 for the shortest). With ``BANDS`` bands of one
+MinHash each, a window that holds a template collides with it with probability 1-(13/16)**BANDS or more, above 0.9999. A
+hit counts if ``CONTAINMENT`` of the template's distinct 3-word shingles stand in the window, and all of those with a
+number: a version is part of a license's name, so version 1 is not version 3.
 """
 
 from __future__ import annotations
@@ -31,10 +32,16 @@ TEMPLATES = (
     ("GPL-3.0", "it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License"),
     ("GPL-2.0", "This work is licensed under the GNU General Public License, version 2."),
     ("GPL-2.0", "it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License"),
+    ("GPL-1.0", "This work is licensed under the GNU General Public License, version 1."),
+    ("LGPL-2.0", "This work is licensed under the GNU Lesser General Public License, version 2."),
+    ("LGPL-2.1", "This work is licensed under the GNU Lesser General Public License, version 2.1."),
+    ("MPL-1.1", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 1.1."),
     ("LGPL-3.0", "This work is licensed under the GNU Lesser General Public License, version 3."),
     ("AGPL-3.0", "This work is licensed under the GNU Affero General Public License, version 3."),
     ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
-    ("BSD-3-Clause", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"),
+    ("BSD", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"),
+    ("BSD-3-Clause", "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission"),
+    ("MIT", "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software."),
     ("ISC", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted"),
     ("CC-BY-4.0", "Licensed under CC BY 4.0."),
     ("CC-BY-SA-4.0", "Licensed under CC BY-SA 4.0."),
@@ -56,11 +63,15 @@ class Templates:
         self.names = [n for n, _ in templates]
         self.bands = bands
         self.shingles, self.size, self.step = [], [], []
+        self.numbered = []  # shingles of each template that hold a number
         for _, _, data, offsets in blocks(texts):
             w = Words(_CLEAN_TABLE[data], offsets, lower=False)
             h, at = shingle_hashes(w.hashes(), w.first, SHINGLE)
             for i in range(len(offsets) - 1):
                 self.shingles.append(np.unique(h[at[i] : at[i + 1]]))
+                digit = np.array([bool(w.data[x:z].tobytes().isdigit()) for x, z in zip(w.starts[w.first[i] : w.first[i + 1]], w.ends[w.first[i] : w.first[i + 1]])])
+                n = int(at[i + 1] - at[i])
+                self.numbered.append(np.unique(h[at[i] : at[i + 1]][[bool(digit[k : k + SHINGLE].any()) for k in range(n)]]))
                 self.size.append(int(at[i + 1] - at[i]))
                 self.step.append(1 << max(3, int(np.ceil(np.log2(max(self.size[-1], 1))))))
         #: step -> for each band the sorted MinHashes and the template of each
@@ -104,7 +115,7 @@ class Templates:
             end = min(int(at[t + 1]), begin + 2 * self.step[o])
             hit = np.isin(h[begin:end], self.shingles[o])
             share = len(np.unique(h[begin:end][hit])) / len(self.shingles[o])
-            if share >= containment:
+            if share >= containment and np.isin(self.numbered[o], h[begin:end]).all():
                 spots = np.flatnonzero(hit)
                 out.append((t, o, share, begin + int(spots[0]) - int(at[t]), int(spots[-1] - spots[0]) + SHINGLE))
         return out

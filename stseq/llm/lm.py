@@ -9,6 +9,7 @@ unknown word is 1.
 Word classes come from random indexing: every word adds up the sign vectors of the texts it stands in, which
 tells languages and styles apart; the mean vectors are clustered. All counts, vectors and symbol trigrams are taken over
 all training rows; the trigram table (at most SYMBOLS**3 rows) is a sufficient statistic for training.
+All of them are sums of whole numbers and are put in order before use, so the model is the same in any partitioning.
 Words outside the head are looked up by an exchange on their hash, so what is broadcast does not grow.
 """
 
@@ -32,6 +33,8 @@ END, RARE = 0, SYMBOLS - 1
 NOISE, STEPS, BATCH, RATE = 12, 3000, 2048, 0.02
 _END_HASH = np.uint64(1)
 _COUNT_TOKENS = 1 << 21
+#: Parts of one in which sign vectors are counted.
+FIXED = 1 << 16
 
 
 def held_out(id_col: str = "doc_id", folds: int = 5, fold: int = 1):
@@ -65,12 +68,13 @@ def count_words(train: DataFrame) -> DataFrame:
                 h = w.hashes()
                 text = w.texts()
                 bits = mix(h)
-                per = np.maximum(np.diff(w.first), 1).astype(np.float32)
-                v = np.empty((len(h), SIGNS), np.float32)
+                per = np.maximum(np.diff(w.first), 1)
+                v = np.empty((len(h), SIGNS), np.int64)
                 for d in range(SIGNS):
-                    sign = ((bits >> np.uint64(d)) & np.uint64(1)).astype(np.float32) * 2 - 1
-                    v[:, d] = (np.bincount(text, sign, len(per)) / per)[text]
-                held.append((np.append(h, _END_HASH), np.append(v, np.zeros((1, SIGNS), np.float32), axis=0), np.append(np.ones(len(h), np.int64), len(per))))
+                    sign = ((bits >> np.uint64(d)) & np.uint64(1)).astype(np.float64) * 2 - 1
+                    # whole numbers, so that the sums do not depend on the order of the rows
+                    v[:, d] = (np.bincount(text, sign, len(per)) * FIXED // per)[text]
+                held.append((np.append(h, _END_HASH), np.append(v, np.zeros((1, SIGNS), np.int64), axis=0), np.append(np.ones(len(h), np.int64), len(per))))
                 size += len(h) + 1
                 if size > _COUNT_TOKENS:
                     held = [flush()]
@@ -85,8 +89,8 @@ def count_words(train: DataFrame) -> DataFrame:
         h, v, n = x
         return pa.RecordBatch.from_arrays([_signed(h), pa.array(n), *(pa.array(v[:, d]) for d in range(SIGNS))], names=["h", "n", *(f"v{d}" for d in range(SIGNS))])
 
-    schema = "h bigint, n bigint, " + ", ".join(f"v{d} float" for d in range(SIGNS))
-    sums = [F.sum("n").alias("n"), *[F.sum(f"v{d}").cast("float").alias(f"v{d}") for d in range(SIGNS)]]
+    schema = "h bigint, n bigint, " + ", ".join(f"v{d} bigint" for d in range(SIGNS))
+    sums = [F.sum("n").alias("n"), *[F.sum(f"v{d}").alias(f"v{d}") for d in range(SIGNS)]]
     return train.mapInArrow(run, schema).groupBy("h").agg(*sums)
 
 
@@ -134,7 +138,7 @@ def head_symbols(head: pa.Table) -> dict:
     """Symbols of the head words from their counts and vectors (columns h, n, v..); sorted by hash."""
     h = head["h"].to_numpy().astype(np.int64).view(np.uint64)
     n = head["n"].to_numpy().astype(np.float64)
-    v = np.stack([head[f"v{d}"].to_numpy().astype(np.float64) for d in range(SIGNS)], axis=1)
+    v = np.stack([head[f"v{d}"].to_numpy().astype(np.float64) for d in range(SIGNS)], axis=1) / FIXED
     symbol = np.full(len(h), RARE, np.int64)
     by_count = np.lexsort((h, -n))
     symbol[by_count[:SINGLES]] = 1 + np.arange(min(SINGLES, len(h)))
@@ -249,6 +253,8 @@ def train_model(train: DataFrame) -> tuple[dict, DataFrame]:
     head = head_symbols(frequent.toArrow())
     rows = count_trigrams(train, head).toArrow()
     code, n = rows["code"].to_numpy().astype(np.int64), rows["n"].to_numpy().astype(np.float64)
+    order = np.argsort(code)  # the draws of the training go by place, whatever order the rows came in
+    code, n = code[order], n[order]
     tokens, v = int(t["tokens"]), int(t["v"])
     model = {"keys": head["keys"], "symbol": head["symbol"], "n": head["n"], "tokens": tokens, "v": v}
     ends = tokens - int(_words_total(words))
