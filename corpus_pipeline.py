@@ -1,50 +1,5 @@
-"""Corpus pipeline over the documents table: language ID, near-duplicates, benchmark decontamination, packing.
+"""The corpus pipeline of the subpackage llm: STAGES, run and ORACLE_SQL (see :mod:`stseq.llm.pipeline`)."""
 
-Each stage takes (spark, docs, sf_dir) and returns a DataFrame, which is written as Parquet and read again as
-the next one's docs. All but the last return the columns of documents.
-"""
+from stseq.llm.pipeline import ORACLE_SQL, STAGES, run
 
-from __future__ import annotations
-
-from pyspark.sql import DataFrame, SparkSession
-
-from stseq.llm import decontam, langid, packing, simhash
-from stseq.llm.common import read_table, stored
-
-
-def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose language is determined."""
-    return langid.keep_identified(docs)
-
-
-def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, of the smallest doc_id, of each group alike in 5-word shingles by 0.8 or more."""
-    return simhash.keep_one(docs)
-
-
-def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold no benchmark item."""
-    return decontam.remove_contaminated(docs, read_table(spark, sf_dir, "benchmark"))
-
-
-def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of at most 2048 tokens and their sequences."""
-    return packing.pack(docs)
-
-
-STAGES = [
-    ("language_id", identify_language),
-    ("near_duplicates", drop_near_duplicates),
-    ("decontamination", decontaminate),
-    ("packing", pack),
-]
-
-#: Fitted models and token ids have no SQL form; tests/llm compares the stages with brute force.
-ORACLE_SQL = None
-
-
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = read_table(spark, sf_dir, "documents")
-    for name, stage in STAGES[:-1]:
-        docs = stored(stage(spark, docs, sf_dir), name)
-    return STAGES[-1][1](spark, docs, sf_dir)
+__all__ = ["ORACLE_SQL", "STAGES", "run"]

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
@@ -10,14 +9,10 @@ from contextlib import contextmanager
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from stseq.ranks import inline_rows, with_rank
+from stseq.storage import shared_dir
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that all executors share: spark.checkpoint.dir, or a temporary one where it is unset (tests)."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not base:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="stseq-shared-"))
-        base = spark.sparkContext.getCheckpointDir()
-    return base
+__all__ = ["checked_small", "connected_components", "inline_rows", "read_table", "shared_dir", "small_batches", "stored", "with_rank"]
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:
@@ -51,41 +46,6 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def inline_rows(spark: SparkSession, rows: list[tuple], names: list[str]) -> DataFrame:
-    """A small table of longs as a local relation of the plan."""
-    if not rows:
-        return spark.range(0).select(*[F.col("id").alias(n) for n in names])
-    values = ", ".join("(" + ", ".join(f"{int(x)}L" for x in r) + ")" for r in rows)
-    return spark.sql(f"SELECT * FROM VALUES {values} AS t({', '.join(names)})")
-
-
-def with_rank(df: DataFrame, order: list[str], name: str = "rank") -> tuple[DataFrame, int]:
-    """Add the gapless 0-based position of each row in the order of ``order``; also return the row count.
-
-    A range exchange sorts the rows over all tasks; each task numbers its own rows, and the counts of the
-    tasks before it (one row a task reaches the driver) are added.
-    """
-    spark = df.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    numbered = stored(
-        df.repartitionByRange(parts, *order).sortWithinPartitions(*order).withColumn("_at", F.monotonically_increasing_id()),
-        "ranked",
-    )
-    part = F.shiftright("_at", 33)
-    counts = sorted((r["p"], r["n"]) for r in numbered.groupBy(part.alias("p")).agg(F.count("*").alias("n")).collect())
-    rows, before = [], 0
-    for p, n in counts:
-        rows.append((p, before))
-        before += n
-    offsets = inline_rows(spark, rows, ["_p", "_before"])
-    ranked = (
-        numbered.join(F.broadcast(offsets), part == F.col("_p"))
-        .withColumn(name, F.col("_before") + F.col("_at").bitwiseAND(F.lit((1 << 33) - 1)))
-        .drop("_at", "_p", "_before")
-    )
-    return ranked, before
-
-
 def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst", max_rounds: int = 60) -> DataFrame:
     """Smallest reachable node for every node of an undirected edge list of longs: columns node, component.
 

@@ -20,8 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stseq.llm.common import stored
-from stseq.llm.textblock import give_back
+from stseq.llm.common import checked_small
 
 #: Edits allowed, as a share of an item's length, and the shortest item (normalised characters) that may differ at all.
 BUDGET, SHORTEST = 0.05, 40
@@ -163,21 +162,12 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, budget: float = BUDGET,
 
 
 def remove_contaminated(docs: DataFrame, benchmark: DataFrame, limit: int = BROADCAST_BYTES) -> DataFrame:
-    """The rows whose text holds no item; the columns of ``docs``. The test runs where the rows are, without a join.
+    """The rows whose text holds no item; the columns of ``docs``.
 
-    The rows are stored once for each run of the benchmark, in small Arrow batches, since whole rows pass through Python.
-    Null and empty texts stay; repeated rows stay or go together.
+    Only the hits are stored, by doc_id and a hash of the text; the rows themselves never pass through Python. Null and
+    empty texts stay; repeated rows stay or go together, and rows of one id but other texts are judged each.
     """
-    at = docs.columns.index("text")
-
-    def one(rows: DataFrame, shared) -> DataFrame:
-        def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            items = Items(shared.value)
-            for b in batches:
-                keep = [not items.find(normalise(t.as_py() or "")) for t in b.column(at)]
-                yield b.filter(pa.array(keep))
-            give_back()
-
-        return stored(rows.mapInArrow(clean, rows.schema), "clean")
-
-    return reduce(one, [docs.sparkSession.sparkContext.broadcast(items) for items in benchmark_runs(benchmark, limit)], docs)
+    keyed = docs.select(F.struct("doc_id", F.xxhash64("text").alias("mark")).alias("doc_id"), "text")
+    hits = contaminated(keyed, benchmark, limit=limit).select(F.col("doc_id.doc_id").alias("_id"), F.col("doc_id.mark").alias("_mark")).distinct()
+    gone = checked_small(hits, "contaminated")
+    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["_id"]) & (F.xxhash64(docs["text"]) == gone["_mark"]), "left_anti")

@@ -7,8 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-import corpus_pipeline
-from stseq.llm import decontam, hilbert, html, langid, licenses, lm, packing, simhash, spotsigs, urlrep
+from stseq.llm import decontam, hilbert, html, langid, licenses, lm, packing, pipeline, simhash, spotsigs, urlrep
 from stseq.llm.common import read_table
 
 
@@ -65,7 +64,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         op1_lm_scoring, op2_html_extraction, op3_license_scan, op4_spot_signatures, op5_language_id, op6_hilbert_sharding,
         op7_cost_balanced_packing, op8_benchmark_decontamination, op9_url_filter, op10_simhash_near_dedup,
     )
-    return {f.__name__: f for f in found} | {"pipeline": corpus_pipeline.run}
+    return {f.__name__: f for f in found} | {"pipeline": pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:
