@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from stseq.ranks import inline_rows, with_rank
 from stseq.storage import shared_dir
 
-__all__ = ["checked_small", "connected_components", "inline_rows", "read_table", "shared_dir", "small_batches", "stored", "with_rank"]
+__all__ = ["checked_small", "connected_components", "inline_rows", "read_table", "shared_buckets", "shared_dir", "small_batches", "stored", "with_rank"]
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:
@@ -42,6 +42,19 @@ def checked_small(df: DataFrame, name: str, rows: int = 100_000) -> DataFrame:
     return F.broadcast(kept) if kept.count() <= rows else kept
 
 
+def shared_buckets(rows: DataFrame, keys: list[str], member: str, block: int) -> DataFrame:
+    """The rows (``keys``, ``member``) of buckets with two rows or more, and for each: parts (blocks of about ``block`` rows that
+    its bucket is cut into) and own (its block, by a hash of the member).
+
+    The join that leaves single rows out is on the block too, so a bucket with a third of all rows is spread like any other.
+    """
+    counts = rows.groupBy(*keys).agg(F.count("*").alias("n")).where("n > 1")
+    counts = stored(counts.select(*keys, F.ceil(F.col("n") / F.lit(block)).cast("int").alias("parts")), "buckets")
+    cut = rows.join(checked_small(counts.where("parts > 1"), "cut-buckets"), keys, "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+    cut = cut.withColumn("own", F.pmod(F.xxhash64(member), F.col("parts")).cast("int"))
+    return cut.join(counts.select(*keys, F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("own")), [*keys, "own"])
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

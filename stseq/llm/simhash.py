@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from stseq.llm.common import connected_components, stored
+from stseq.llm.common import connected_components, shared_buckets, stored
 from stseq.llm.textblock import Words, blocks, shingle_hashes
 
 SEGMENTS, SEGMENT_BITS = 16, 4
@@ -197,13 +197,10 @@ def near_edges(distinct: DataFrame, limit: int = 3, block: int = BLOCK) -> DataF
     if not 0 <= limit <= 3:
         raise ValueError("the keys hold for at most three differing bits")
     keyed = distinct.select("fp", F.explode(ring_keys(F.col("fp"))).alias("key"))
-    full = keyed.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    rows = keyed.join(full, "key")
-    parts = F.ceil(F.col("n") / F.lit(block)).cast("int")
-    own = F.pmod(F.xxhash64("fp"), parts).cast("int")
+    rows = shared_buckets(keyed, ["key"], "fp", block)
     # block i meets blocks j >= i in part i*parts+j; within part (i, i) all pairs count, else the cross pairs
     rows = rows.select(
-        "key", "fp", own.alias("own"), parts.alias("parts"), F.explode(F.sequence(F.lit(0), parts - 1)).alias("other")
+        "key", "fp", "own", "parts", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("other")
     ).select(
         "key",
         (F.least("own", "other").cast("long") * F.col("parts") + F.greatest("own", "other")).alias("part"),
