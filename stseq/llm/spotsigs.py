@@ -23,7 +23,8 @@ ANCHORS = (
     "aber als am auch auf aus bei bis das dass dem den der des die ein eine einem einen einer er es für hat ich ihr im ist mit nach nicht noch nur oder sich sie sind so um und von vor war wie wird zu zum zur über "
     "al como con cuando del el ella ellos entre era esta este esto fue ha hay las lo los más me mi muy no o para pero por porque si sin sobre su sus también te todo y ya"
 )
-_MAX_BUCKETS, _STEP = 4096, 64
+#: Ranges of doc_id at most (1.5 GB of a 100 TB table each), and bounds in one step of their search.
+_MAX_BUCKETS, _STEP = 1 << 16, 256
 
 
 def _alternatives(words: list[str]) -> str:
@@ -76,19 +77,23 @@ def likeness(a: Column, b: Column) -> Column:
     return F.when(total == 0, 1.0).otherwise(both / total).cast("double")
 
 
+def _listed(values: list, kind: str) -> Column:
+    """A long list as one constant of the plan."""
+    return F.split(F.lit(",".join(map(str, values))), ",").cast(f"array<{kind}>")
+
+
 def _id_buckets(docs: DataFrame, rows: int = 128) -> tuple[Column, DataFrame]:
-    """Bucket of a doc_id by approximate quantiles, and the ids that begin a bucket with the bucket before it (at most 4096 rows)."""
+    """Bucket of a doc_id by approximate quantiles, and the ids that begin a bucket with the bucket before it (a row a bucket)."""
     n = docs.count()
     buckets = min(_MAX_BUCKETS, max(1, n // rows))
-    points = [i / buckets for i in range(1, buckets)]
-    bounds = sorted(set(docs.agg(F.percentile_approx("doc_id", points, 100_000)).first()[0] or [])) if points else []
+    points = _listed([i / buckets for i in range(1, buckets)], "double")
+    bounds = sorted(set(docs.agg(F.percentile_approx("doc_id", points, max(100_000, 4 * buckets))).first()[0] or [])) if buckets > 1 else []
     doc_id = F.col("doc_id")
     if not bounds:
         bucket = F.lit(0)
-    else:  # two levels of _STEP bounds each
-        coarse = F.array(*[F.lit(b) for b in bounds[::_STEP]])
-        level = F.size(F.filter(coarse, lambda b: b < doc_id))
-        fine = F.slice(F.array(*[F.lit(b) for b in bounds]), F.greatest(level - 1, F.lit(0)) * _STEP + 1, _STEP)
+    else:  # two levels
+        level = F.size(F.filter(_listed(bounds[::_STEP], "bigint"), lambda b: b < doc_id))
+        fine = F.slice(_listed(bounds, "bigint"), F.greatest(level - 1, F.lit(0)) * _STEP + 1, _STEP)
         bucket = F.when(doc_id.isNull() | (level == 0), 0).otherwise((level - 1) * _STEP + F.size(F.filter(fine, lambda b: b < doc_id)))
     firsts = docs.select(bucket.alias("b"), "doc_id").groupBy("b").agg(F.min("doc_id").alias("first"), F.count(F.when(doc_id.isNull(), 1)).alias("nulls")).collect()
     firsts = sorted((r["b"], None if r["nulls"] else r["first"]) for r in firsts)

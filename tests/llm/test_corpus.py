@@ -274,6 +274,19 @@ def test_spot_signatures(spark, corpus, docs, nothing):
     assert len(alone) == 1 and alone[0]["near_next"] == 1.0
 
 
+def test_spot_buckets_of_any_number(spark):
+    ids = spark.range(0, 3000, 3).withColumnRenamed("id", "doc_id")
+    for rows in (1, 2, 100, 5000):  # more bounds than one step has, and a single bucket
+        bucket, guests = spotsigs._id_buckets(ids, rows)
+        found = [(r["doc_id"], r["b"]) for r in ids.select("doc_id", bucket.alias("b")).orderBy("doc_id").collect()]
+        firsts = {}
+        for i, b in found:
+            firsts.setdefault(b, i)
+        assert [b for _, b in found] == sorted(b for _, b in found) and len(firsts) >= min(1000 // rows, 900)
+        order = sorted(firsts)
+        assert {(r["_first"], r["_guest"]) for r in guests.collect()} == {(firsts[b], order[k - 1]) for k, b in enumerate(order)}
+
+
 def test_spot_signature_classes(spark):
     base = " ".join(f"the word{i} thing{i} der rest{i}" for i in range(60))
     rows = [(1, base), (2, base), (3, base + " the extra tail here"), (4, " ".join(f"la otro{i} cosa{i}" for i in range(70))), (5, ""), (6, None)]
