@@ -113,15 +113,19 @@ def simulate_threshold(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceS
     """
     points = as_points(points)
     pairs = stored(pairs_grid(points, spec).select("src_id", "dst_id", "src_w", "dst_w"), "pairs")
-    slots, n = with_rank(points.select("id"), ["id"], "slot")
+    slots, n = with_rank(points.select("id", "w"), ["id"], "slot")
+    codes, _ = with_rank(points.select("type").distinct(), ["type"], "code")
     each = points.select("id", "type").join(F.broadcast(points.sparkSession.range(runs).select(F.col("id").alias("run"))))  # runs rows
-    cards, _ = with_rank(each.select("run", "type", "id", F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("run").cast("string"), F.col("id").cast("string")).cast("binary")).alias("_h")), ["run", "_h", "id"], "card")
-    cards = cards.select("run", (F.col("card") - F.col("run") * F.lit(n)).alias("slot"), "type")
-    label = stored(slots.join(cards, "slot").select("run", "id", "type"), "labels")
-    src = label.select("run", F.col("id").alias("src_id"), F.col("type").alias("src_type"))
-    dst = label.select("run", F.col("id").alias("dst_id"), F.col("type").alias("dst_type"))
-    W = pairs.join(src, "src_id").join(dst, ["run", "dst_id"]).groupBy("run", "src_type", "dst_type").agg(F.sum(F.col("src_w") * F.col("dst_w")).alias("W"))
-    N = label.join(points.select("id", "w"), "id").groupBy("run", "type").agg(F.sum("w").alias("N"))
+    cards, _ = with_rank(each.select("run", "type", "id", F.unhex(F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("run").cast("string"), F.col("id").cast("string")).cast("binary"))).alias("_h")), ["run", "_h", "id"], "card")
+    cards = cards.join(codes, "type", "left").select("run", (F.col("card") - F.col("run") * F.lit(n)).alias("slot"), F.col("code").cast("int").alias("code"))
+    # a row a point, with its labels of all runs: a pair meets its two rows once, not once a run; no side is small, whatever its estimate
+    hand = cards.groupBy("slot").agg(F.transform(F.array_sort(F.collect_list(F.struct("run", "code"))), lambda c: c["code"]).alias("labels"))
+    label = stored(slots.hint("merge").join(hand, "slot").select("id", "w", "labels"), "labels")
+    src = label.select(F.col("id").alias("src_id"), F.col("labels").alias("src_labels")).hint("merge")
+    dst = label.select(F.col("id").alias("dst_id"), F.col("labels").alias("dst_labels")).hint("merge")
+    both = pairs.join(src, "src_id").join(dst, "dst_id").select((F.col("src_w") * F.col("dst_w")).alias("w"), F.posexplode(F.arrays_zip("src_labels", "dst_labels")).alias("run", "link"))
+    W = both.groupBy("run", F.col("link.src_labels").alias("src_type"), F.col("link.dst_labels").alias("dst_type")).agg(F.sum("w").alias("W"))
+    N = label.select("w", F.posexplode("labels").alias("run", "type")).groupBy("run", "type").agg(F.sum("w").alias("N"))
     out = W.join(N.select("run", F.col("type").alias("src_type"), F.col("N").alias("src_n")), ["run", "src_type"]).join(
         N.select("run", F.col("type").alias("dst_type"), F.col("N").alias("dst_n")), ["run", "dst_type"]
     )

@@ -355,6 +355,11 @@ def test_simulated_threshold(spark, events):
     assert len(a) == 5 and [r["max_ratio"] for r in a] == pytest.approx([r["max_ratio"] for r in b]) and a[0]["threshold"] > 0.8
 
 
+def test_simulated_labels_are_not_broadcast(events):
+    spec, space = NeighbourhoodSpec(R=6, T=8), SpaceSpec(x0=0, x1=61, y0=0, y1=61, t0=0, t1=81)
+    assert plans.operators(sequences.simulate_threshold(events, spec, space, runs=2)).get("SortMergeJoin", 0) >= 2
+
+
 def test_sql_surface_and_plans(spark, events):
     spec = NeighbourhoodSpec(R=7, T=9)
     sql.register(spark, events)
