@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from stseq.functions import register as register_functions
 from stseq.model import NeighbourhoodSpec, as_points
 
+#: The hint: by estimate the multiplied side is as small as the scan, and would be broadcast.
 CELL_JOIN = """
 WITH src AS (
   SELECT id, type, x, y, t, w, cx, cy, ct FROM events_st
@@ -16,7 +17,7 @@ WITH src AS (
 ), dst AS (
   SELECT id, type, x, y, t, w, floor(x / {R}) AS cx, floor(y / {R}) AS cy, floor(t / {T}) AS ct FROM events_st
 )
-SELECT a.type AS src_type, b.type AS dst_type, sum(a.w * b.w) AS W
+SELECT /*+ MERGE(b) */ a.type AS src_type, b.type AS dst_type, sum(a.w * b.w) AS W
 FROM src a JOIN dst b ON a.cx = b.cx AND a.cy = b.cy AND a.ct = b.ct
 WHERE b.t > a.t AND b.t <= a.t + {T} AND (b.x - a.x) * (b.x - a.x) + (b.y - a.y) * (b.y - a.y) <= {R} * {R} AND a.id <> b.id
 GROUP BY a.type, b.type

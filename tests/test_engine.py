@@ -377,6 +377,12 @@ def test_sql_surface_and_plans(spark, events):
     assert plans.suggest_cell(events, spec, 1.0)["cells"] > 0
 
 
+def test_sql_surface_broadcasts_no_points(spark, events):
+    sql.register(spark, events)
+    ops = plans.operators(sql.link_weights_sql(spark, NeighbourhoodSpec(R=7, T=9)))
+    assert "SortMergeJoin" in ops and "BroadcastHashJoin" not in ops
+
+
 def test_adapters_handle_bad_rows(spark, sf, tmp_path):
     rows = [(1, "A", 1.0, 1.0, 1), (2, None, 1.0, 1.0, 1), (3, "A", 1e9, 1.0, 1), (None, "A", 1.0, 1.0, 1), (4, "B", 1.0, 1.0, None)]
     df = spark.createDataFrame(rows, SCHEMA)
