@@ -205,9 +205,9 @@ def pair_weights_cells(events: DataFrame, spec: NeighbourhoodSpec, subdivide: in
     low = F.col("ct") * F.lit(step)
     inside = inside & (low > begin) & (low + F.lit(step) <= begin + F.lit(spec.T))
     src = src.withColumn("_in", inside).where(touches)
-    whole = src.where("_in").groupBy(*keys, "type").agg(F.sum("w").alias("src_w")).join(counts, keys)
+    whole = src.where("_in").groupBy(*keys, "type").agg(F.sum("w").alias("src_w")).join(counts.hint("merge"), keys)
     whole = whole.groupBy(F.col("type").alias("src_type"), "dst_type").agg(F.sum(F.col("src_w") * F.col("cell_w")).alias("W"))
-    border = src.where("not _in").select(*keys, F.struct(*points.columns).alias("src")).join(target.select(*keys, F.struct(*points.columns).alias("dst")), keys)
+    border = src.where("not _in").select(*keys, F.struct(*points.columns).alias("src")).join(target.select(*keys, F.struct(*points.columns).alias("dst")).hint("merge"), keys)
     border = border.where(matches(spec)).groupBy(F.col("src.type").alias("src_type"), F.col("dst.type").alias("dst_type")).agg(F.sum(F.col("src.w") * F.col("dst.w")).alias("W"))
     return whole.unionByName(border).groupBy("src_type", "dst_type").agg(F.sum("W").alias("W"))
 

@@ -383,6 +383,11 @@ def test_sql_surface_broadcasts_no_points(spark, events):
     assert "SortMergeJoin" in ops and "BroadcastHashJoin" not in ops
 
 
+def test_cell_counts_broadcast_no_points(events):
+    ops = plans.operators(neighbours.pair_weights_cells(events, NeighbourhoodSpec(R=7, T=9)))
+    assert ops["SortMergeJoin"] == 2 and "BroadcastHashJoin" not in ops
+
+
 def test_adapters_handle_bad_rows(spark, sf, tmp_path):
     rows = [(1, "A", 1.0, 1.0, 1), (2, None, 1.0, 1.0, 1), (3, "A", 1e9, 1.0, 1), (None, "A", 1.0, 1.0, 1), (4, "B", 1.0, 1.0, None)]
     df = spark.createDataFrame(rows, SCHEMA)
