@@ -388,6 +388,14 @@ def test_cell_counts_broadcast_no_points(events):
     assert ops["SortMergeJoin"] == 2 and "BroadcastHashJoin" not in ops
 
 
+WIDE_SPACE = SpaceSpec(x0=0, x1=90_000, y0=0, y1=100, t0=0, t1=2_592_000_000_000)  # 2.3e19, above a long
+
+
+def test_type_density_in_a_volume_above_a_long(events):
+    got = {r["type"]: r["density"] * WIDE_SPACE.volume for r in density.type_density(events, WIDE_SPACE).collect()}
+    assert got == pytest.approx({r["type"]: r["count"] for r in events.groupBy("type").count().collect()})
+
+
 def test_adapters_handle_bad_rows(spark, sf, tmp_path):
     rows = [(1, "A", 1.0, 1.0, 1), (2, None, 1.0, 1.0, 1), (3, "A", 1e9, 1.0, 1), (None, "A", 1.0, 1.0, 1), (4, "B", 1.0, 1.0, None)]
     df = spark.createDataFrame(rows, SCHEMA)
