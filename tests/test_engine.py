@@ -396,6 +396,11 @@ def test_type_density_in_a_volume_above_a_long(events):
     assert got == pytest.approx({r["type"]: r["count"] for r in events.groupBy("type").count().collect()})
 
 
+def test_edge_correction_in_a_volume_above_a_long(events):
+    matrix = density.ratio_matrix(events, NeighbourhoodSpec(R=7, T=9, edge_correction="clip_box"), WIDE_SPACE).collect()
+    assert len(matrix) == 9 and all(r["ratio"] > 0 for r in matrix)
+
+
 def test_adapters_handle_bad_rows(spark, sf, tmp_path):
     rows = [(1, "A", 1.0, 1.0, 1), (2, None, 1.0, 1.0, 1), (3, "A", 1e9, 1.0, 1), (None, "A", 1.0, 1.0, 1), (4, "B", 1.0, 1.0, None)]
     df = spark.createDataFrame(rows, SCHEMA)
