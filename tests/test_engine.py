@@ -401,6 +401,12 @@ def test_edge_correction_in_a_volume_above_a_long(events):
     assert len(matrix) == 9 and all(r["ratio"] > 0 for r in matrix)
 
 
+def test_weighted_density_in_a_volume_above_a_long(events):
+    mc, _ = cluster(events, ClusterSpec(d=10, method="grid"))
+    got = {r["type"]: r["N"] for r in density.type_density(clusters_as_points(mc), WIDE_SPACE).collect()}
+    assert got == {r["type"]: r["count"] for r in events.groupBy("type").count().collect()}
+
+
 def test_adapters_handle_bad_rows(spark, sf, tmp_path):
     rows = [(1, "A", 1.0, 1.0, 1), (2, None, 1.0, 1.0, 1), (3, "A", 1e9, 1.0, 1), (None, "A", 1.0, 1.0, 1), (4, "B", 1.0, 1.0, None)]
     df = spark.createDataFrame(rows, SCHEMA)
