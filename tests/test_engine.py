@@ -5,6 +5,7 @@ import itertools
 import math
 import os
 import random
+import time
 from dataclasses import replace
 
 import numpy as np
@@ -16,6 +17,7 @@ from stseq.functions import diameter_of, mc_diameter, register
 from stseq.microcluster import absorb, cluster, index_members, read_index, write_index
 from stseq.microcluster.features import diameter_cf, diameter_pairwise
 from stseq.microcluster.kernel import Clusters, cluster_points, split
+from stseq.microcluster.near_grid import GridClusters
 from stseq.model import ClusterSpec, MineOptions, NeighbourhoodSpec, SpaceSpec, as_points, clusters_as_points
 from stseq.neighbourhood import clipped_volume
 from stseq.sources import tables
@@ -243,6 +245,30 @@ def test_kernel():
         assert c._diameter(g) == pytest.approx(pairwise(c.p[c.members[g]]), abs=1e-9)
 
 
+def test_grid_search_gives_the_same_clusters():
+    rng = np.random.default_rng(3)
+    for k, (n, size, d, K) in enumerate([(300, 12, 5, None), (400, 40, 5, 10), (300, 200, 2, None), (200, 3, 2, 4), (250, 30, 20, 2)]):
+        x = rng.integers(0, size, (n, 2 + k % 2)).astype(float) if k < 4 else rng.random((n, 3)) * size
+        for recheck in ("paper", "until_fit"):
+            assert GridClusters(x, d, K=K, recheck=recheck).run() == Clusters(x - x.mean(axis=0), d, K=K, recheck=recheck).run()
+
+
+def test_grid_search_is_exact_far_from_the_mean():
+    x = np.random.default_rng(4).integers(0, 6, (300, 3)).astype(float)
+    apart = x + np.array([1e5, 0, 0])
+    near = GridClusters(x, 2.0, K=10).run()
+    both = GridClusters(np.concatenate([x, apart]), 2.0, K=10)
+    assert both.fits and len(both.run()) >= len(near)
+    assert GridClusters(apart, 2.0, K=10).run() == near
+
+
+def test_grid_search_does_not_scan_all_centres():
+    x = np.random.default_rng(5).random((60_000, 3)) * 600
+    begin = time.process_time()
+    assert sum(map(len, GridClusters(x, 5.0).run())) == len(x)
+    assert time.process_time() - begin < 30  # 60000 scans of all centres: more than twice that
+
+
 def test_cluster_tables(spark, events, tmp_path):
     spec = ClusterSpec(d=12, K=7, recheck="until_fit")
     mc, members = cluster(events, spec)
