@@ -2,7 +2,7 @@
 
 ``pairs_grid`` is the engine's way: an equi-join on space-time cells of side R and T with the exact test as
 residual condition. ``pairs_sweep`` slides a time window through spatial tiles, ``pairs_nested_loop`` tests all
-pairs (for checks on small inputs), ``pair_weights_cells`` counts whole cells at once.
+pairs of blocks within reach, ``pair_weights_cells`` counts whole cells at once.
 """
 
 from __future__ import annotations
@@ -31,10 +31,26 @@ def _packed(df: DataFrame, name: str) -> DataFrame:
     return df.select(F.struct("*").alias(name))
 
 
+#: Width of a block of the nested loop, in radii.
+BLOCK_RADII = 16
+
+
 def pairs_nested_loop(events: DataFrame, spec: NeighbourhoodSpec, targets: DataFrame | None = None) -> DataFrame:
-    """Every pair tested; for tests and for time rules without a lower bound."""
-    src, dst = _packed(_points(events, spec), "src"), _packed(_points(targets if targets is not None else events, spec), "dst")
-    return src.crossJoin(dst).where(matches(spec)).select(*_pair_columns())
+    """Block nested loop: all pairs of a block of sources and a block of targets are tested.
+
+    With two time bounds a block is a slice of time and of one axis, and two blocks that no neighbourhood spans are left out; a time
+    rule without a lower bound tests every pair.
+    """
+    points, others = _points(events, spec), _points(targets if targets is not None else events, spec)
+    if not spec.bounded:
+        return _packed(points, "src").crossJoin(_packed(others, "dst")).where(matches(spec)).select(*_pair_columns())
+    axis, side = _cell_axes(spec)[0], BLOCK_RADII * spec.R
+    begin = F.col("t") + F.lit(spec.delay)
+    src = points.withColumn("ba", F.explode(F.sequence(_cell(F.col(axis) - spec.R, side), _cell(F.col(axis) + spec.R, side))))
+    src = src.withColumn("bt", F.explode(F.sequence(_cell(begin, spec.T), _cell(begin + F.lit(spec.T), spec.T))))
+    src = src.select("ba", "bt", F.struct(*points.columns).alias("src"))
+    dst = others.select(_cell(F.col(axis), side).alias("ba"), _cell(F.col("t"), spec.T).alias("bt"), F.struct(*others.columns).alias("dst"))
+    return src.join(dst.hint("merge"), ["ba", "bt"]).where(matches(spec)).select(*_pair_columns())
 
 
 def _cell(value: Column, side: float) -> Column:

@@ -409,6 +409,13 @@ def test_sql_surface_broadcasts_no_points(spark, events):
     assert "SortMergeJoin" in ops and "BroadcastHashJoin" not in ops
 
 
+def test_nested_loop_leaves_out_blocks_without_reach(events):
+    spec = NeighbourhoodSpec(R=1, T=9, delay=2)
+    pairs = neighbours.pairs_nested_loop(events, spec)
+    assert ids(pairs) == ids(neighbours.pairs_grid(events, spec)) and pairs.count()
+    assert not any("Cartesian" in k or "NestedLoop" in k for k in plans.operators(pairs))
+
+
 def test_cell_counts_broadcast_no_points(events):
     ops = plans.operators(neighbours.pair_weights_cells(events, NeighbourhoodSpec(R=7, T=9)))
     assert ops["SortMergeJoin"] == 2 and "BroadcastHashJoin" not in ops
