@@ -440,6 +440,12 @@ def test_weighted_density_in_a_volume_above_a_long(events):
     assert got == {r["type"]: r["count"] for r in events.groupBy("type").count().collect()}
 
 
+def test_generator_source_serves_every_customer(spark, sf):
+    from stseq.queries_methods import generator_source
+
+    assert generator_source(spark, sf).agg(F.sum("events")).first()[0] == tables.table(spark, sf, "customer").count()
+
+
 def test_adapters_handle_bad_rows(spark, sf, tmp_path):
     rows = [(1, "A", 1.0, 1.0, 1), (2, None, 1.0, 1.0, 1), (3, "A", 1e9, 1.0, 1), (None, "A", 1.0, 1.0, 1), (4, "B", 1.0, 1.0, None)]
     df = spark.createDataFrame(rows, SCHEMA)
