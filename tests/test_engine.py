@@ -446,6 +446,12 @@ def test_generator_source_serves_every_customer(spark, sf):
     assert generator_source(spark, sf).agg(F.sum("events")).first()[0] == tables.table(spark, sf, "customer").count()
 
 
+def test_mini_clusters_hold_every_customer(spark, sf):
+    from stseq.queries_clusters import mini_clusters
+
+    assert mini_clusters(spark, sf).agg(F.sum("n")).first()[0] == tables.table(spark, sf, "customer").count()
+
+
 def test_adapters_handle_bad_rows(spark, sf, tmp_path):
     rows = [(1, "A", 1.0, 1.0, 1), (2, None, 1.0, 1.0, 1), (3, "A", 1e9, 1.0, 1), (None, "A", 1.0, 1.0, 1), (4, "B", 1.0, 1.0, None)]
     df = spark.createDataFrame(rows, SCHEMA)
