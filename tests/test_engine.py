@@ -452,6 +452,13 @@ def test_mini_clusters_hold_every_customer(spark, sf):
     assert mini_clusters(spark, sf).agg(F.sum("n")).first()[0] == tables.table(spark, sf, "customer").count()
 
 
+def test_generator_base_plants_on_every_customer(spark, sf):
+    from stseq.queries_clusters import generator_base
+
+    n, rows = tables.table(spark, sf, "customer").count(), generator_base(spark, sf)
+    assert (rows.count(), rows.select("id").distinct().count(), rows.agg(F.max("id")).first()[0]) == (10 * n, 10 * n, 10 * n - 1)
+
+
 def test_adapters_handle_bad_rows(spark, sf, tmp_path):
     rows = [(1, "A", 1.0, 1.0, 1), (2, None, 1.0, 1.0, 1), (3, "A", 1e9, 1.0, 1), (None, "A", 1.0, 1.0, 1), (4, "B", 1.0, 1.0, None)]
     df = spark.createDataFrame(rows, SCHEMA)
