@@ -54,10 +54,12 @@ def ratio_matrix(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec, p
     counts = type_counts(points)
     every = counts.select(F.col("type").alias("src_type"), F.col("N").alias("src_n")).crossJoin(counts.select(F.col("type").alias("dst_type"), F.col("N").alias("dst_n")))
     if spec.edge_correction == "clip_box":
-        pairs = pairs if pairs is not None else pairs_grid(points, spec)
-        volume = points.select(F.col("id").alias("src_id"), clipped_volume(spec, space).alias("v"))
-        mean = pairs.join(volume, "src_id").groupBy("src_type", "dst_type").agg(
-            F.sum(F.col("src_w") * F.col("dst_w")).alias("W"), F.sum(F.col("src_w") * F.col("dst_w") / F.col("v")).alias("m")
+        if pairs is None:
+            pairs = pairs_grid(points, spec, about=clipped_volume(spec, space))
+        else:
+            pairs = pairs.join(points.select(F.col("id").alias("src_id"), clipped_volume(spec, space).alias("src_about")), "src_id")
+        mean = pairs.groupBy("src_type", "dst_type").agg(
+            F.sum(F.col("src_w") * F.col("dst_w")).alias("W"), F.sum(F.col("src_w") * F.col("dst_w") / F.col("src_about")).alias("m")
         )
         out = every.join(mean, ["src_type", "dst_type"], "left")
         ratio = F.coalesce("m", F.lit(0.0)) / F.col("src_n") / (F.col("dst_n") / F.lit(space.volume))

@@ -68,38 +68,51 @@ def cell_columns(spec: NeighbourhoodSpec, prefix: str = "", cell_r: float | None
     return [*(_cell(F.col(prefix + a), side).alias(f"c{a}") for a in _cell_axes(spec)), _cell(F.col(prefix + "t"), spec.T).alias("ct")]
 
 
-def source_cells(df: DataFrame, spec: NeighbourhoodSpec) -> DataFrame:
-    """Source copies, one for each cell that may hold a target: 3 to each spatial side and 2 in time."""
+def source_cells(df: DataFrame, spec: NeighbourhoodSpec, double: bool = False) -> DataFrame:
+    """Source copies, one for each cell that may hold a target: 3 (with ``double`` cells of two radii: 2) to each spatial axis and 2 in time."""
     out = df
     for a in _cell_axes(spec):
         c = _cell(F.col(a), spec.R)
-        out = out.withColumn(f"c{a}", F.explode(F.sequence(c - 1, c + 1)))
+        low, high = (F.shiftright(c - 1, 1), F.shiftright(c + 1, 1)) if double else (c - 1, c + 1)
+        out = out.withColumn(f"c{a}", F.explode(F.sequence(low, high)))
     c = _cell(F.col("t") + F.lit(spec.delay), spec.T)
     return out.withColumn("ct", F.explode(F.sequence(c, c + 1)))
 
 
 #: Targets that are broadcast (their number is checked); more are joined by a shuffle of both sides.
 BROADCAST_TARGETS = 200_000
+#: Mean number of targets in an occupied cell below which cells of two radii cost less than copies of the sources.
+SPARSE = 4.0
 
 
-def pairs_grid(events: DataFrame, spec: NeighbourhoodSpec, targets: DataFrame | None = None, broadcast_targets: int = BROADCAST_TARGETS) -> DataFrame:
+def _sparse(targets: DataFrame, spec: NeighbourhoodSpec) -> bool:
+    """Whether occupied cells hold few targets on the average (one pass over them); no result depends on it."""
+    cells = targets.select(F.xxhash64(*cell_columns(spec)).alias("cell"))
+    rows, cells = cells.agg(F.count("*"), F.approx_count_distinct("cell")).first()
+    return rows < SPARSE * cells
+
+
+def pairs_grid(events: DataFrame, spec: NeighbourhoodSpec, targets: DataFrame | None = None, broadcast_targets: int = BROADCAST_TARGETS, about: Column | None = None) -> DataFrame:
     """Equi-join on cells, then the exact test. Needs a time rule with two bounds.
 
     The sources are the multiplied side, so they are never the broadcast one: few targets are sent to all tasks
     and the sources stay where they are, else both sides are dealt by cell (and hot cells split by AQE). The count stops
-    above the bound; ``broadcast_targets=0`` skips it.
+    above the bound; ``broadcast_targets=0`` skips it. Where both sides are dealt and targets lie far apart, cells have two
+    radii, for fewer copies. ``about`` is a function of the source that its pairs carry as ``src_about``.
     """
     if not spec.bounded:
         raise ValueError(f"time rule {spec.time_rule} has no lower bound; use pairs_nested_loop")
     keys = [f"c{a}" for a in _cell_axes(spec)] + ["ct"]
     points = _points(events, spec)
-    src = source_cells(points, spec)
-    src = src.select(*keys, F.struct(*points.columns).alias("src"))
     dst = _points(targets, spec) if targets is not None else points
     few = broadcast_targets > 0 and dst.select("id").limit(broadcast_targets + 1).count() <= broadcast_targets
-    dst = dst.select(*cell_columns(spec), F.struct(*dst.columns).alias("dst"))
+    double = broadcast_targets > 0 and not few and _sparse(dst, spec)
+    more = [] if about is None else [about.alias("src_about")]
+    src = source_cells(points, spec, double).select(*keys, F.struct(*points.columns, *more).alias("src"))
+    cells = [*(F.shiftright(F.col(k), 1).alias(k) if double and k != "ct" else k for k in keys), "dst"]
+    dst = dst.select(*cell_columns(spec), F.struct(*dst.columns).alias("dst")).select(*cells)
     joined = src.join(F.broadcast(dst), keys) if few else src.join(dst.hint("merge"), keys)
-    return joined.where(matches(spec)).select(*_pair_columns())
+    return joined.where(matches(spec)).select(*_pair_columns(), *(["src.src_about"] if more else []))
 
 
 def torus_targets(points: DataFrame, spec: NeighbourhoodSpec, space: SpaceSpec) -> DataFrame:

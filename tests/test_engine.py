@@ -416,6 +416,29 @@ def test_nested_loop_leaves_out_blocks_without_reach(events):
     assert not any("Cartesian" in k or "NestedLoop" in k for k in plans.operators(pairs))
 
 
+@pytest.mark.parametrize("spec", [NeighbourhoodSpec(R=3, T=9), NeighbourhoodSpec(R=3, T=9, delay=2, shape="box"), NeighbourhoodSpec(R=3, T=9, dims=1)])
+def test_cells_of_two_radii_give_the_same_pairs(events, spec, monkeypatch):
+    monkeypatch.setattr(neighbours, "_sparse", lambda *a: False)
+    moved = events.withColumn("x", F.col("x") - 31)
+    want = ids(neighbours.pairs_grid(moved, spec, broadcast_targets=1))
+    monkeypatch.setattr(neighbours, "_sparse", lambda *a: True)
+    assert ids(neighbours.pairs_grid(moved, spec, broadcast_targets=1)) == want == ids(neighbours.pairs_nested_loop(moved, spec))
+    assert neighbours.source_cells(moved, spec, True).count() == 2 * 2**spec.dims * moved.count()
+
+
+def test_sparse_targets_get_cells_of_two_radii(events):
+    assert neighbours._sparse(as_points(events), NeighbourhoodSpec(R=1, T=1)) and not neighbours._sparse(as_points(events), NeighbourhoodSpec(R=60, T=80))
+
+
+def test_edge_correction_joins_no_volumes_to_pairs(events):
+    spec = NeighbourhoodSpec(R=7, T=9, edge_correction="clip_box")
+    carried, joined = density.ratio_matrix(events, spec, WIDE_SPACE), density.ratio_matrix(events, spec, WIDE_SPACE, neighbours.pairs_grid(events, spec))
+    joins = [sum(n for k, n in plans.operators(m).items() if k.endswith("Join")) for m in (carried, joined)]
+    assert joins[0] == joins[1] - 1
+    key = lambda m: sorted((r["src_type"], r["dst_type"], r["W"], round(r["ratio"] / 1e9, 6)) for r in m.collect())
+    assert key(carried) == key(joined)
+
+
 def test_cell_counts_broadcast_no_points(events):
     ops = plans.operators(neighbours.pair_weights_cells(events, NeighbourhoodSpec(R=7, T=9)))
     assert ops["SortMergeJoin"] == 2 and "BroadcastHashJoin" not in ops
