@@ -269,6 +269,33 @@ def test_grid_search_does_not_scan_all_centres():
     assert time.process_time() - begin < 30  # 60000 scans of all centres: more than twice that
 
 
+class _Counted(dict):
+    asked = 0
+
+    def get(self, key):
+        _Counted.asked += 1
+        return super().get(key)
+
+
+@pytest.mark.parametrize("shuffled", [False, True])
+def test_grid_search_asks_few_cells(shuffled):
+    rng = np.random.default_rng(5)
+    p = rng.uniform(0, 1, (6000, 3)) * [300, 5, 40]
+    p = p if shuffled else p[np.argsort(p[:, 2])]
+    grid = GridClusters(p, 1.0, K=10)
+    grid.cells = [_Counted() for _ in grid.cells]
+    _Counted.asked = 0
+    assert grid.run() == Clusters(p, 1.0, K=10).run()
+    assert _Counted.asked < (45 if shuffled else 30) * len(p)
+
+
+def test_grid_search_adds_a_far_event_without_a_split():
+    p = np.array([[10.0 * (i % 50), 10.0 * (i // 50), i / 100] for i in range(2000)])
+    grid = GridClusters(p, 1.0)
+    grid._split = None
+    assert grid.run() == [[i] for i in range(2000)] == Clusters(p, 1.0).run()
+
+
 def test_cluster_tables(spark, events, tmp_path):
     spec = ClusterSpec(d=12, K=7, recheck="until_fit")
     mc, members = cluster(events, spec)
