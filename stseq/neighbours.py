@@ -257,7 +257,7 @@ def covered_instances(pairs: DataFrame, members: DataFrame) -> DataFrame:
 
 
 def count_candidates(events: DataFrame, spec: NeighbourhoodSpec) -> DataFrame:
-    """Join work: candidate pairs that share a cell and pairs that pass (one row)."""
+    """Join work: candidate pairs that share a cell of one radius and pairs that pass (one row)."""
     keys = [f"c{a}" for a in _cell_axes(spec)] + ["ct"]
     points = _points(events, spec)
     s = source_cells(points, spec).groupBy(*keys).agg(F.count("*").alias("s"))
