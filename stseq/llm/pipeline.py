@@ -18,7 +18,7 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, of the smallest doc_id, of each group alike in 5-word shingles by 0.8 or more; all texts without words are one group, rows with a null doc_id stay."""
+    """One document, of the smallest doc_id, of each group whose SimHash fingerprints differ in 3 bits or fewer, or that is alike in 5-word shingles by 0.8 or more; all texts without words are one group, rows with a null doc_id stay."""
     return simhash.keep_one(docs)
 
 

@@ -229,7 +229,7 @@ def simhash_components(docs: DataFrame, words: int = 3, limit: int = 3, text: st
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """One row of each group of near-duplicates (5-word shingles, similarity of 0.8 or more): see :mod:`stseq.llm.neardup`."""
+    """One row of each group of near-duplicates (fingerprints within 3 bits, or 5-word shingles alike by 0.8 or more): see :mod:`stseq.llm.neardup`."""
     from stseq.llm import neardup
 
     return neardup.keep_one(docs)

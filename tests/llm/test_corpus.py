@@ -615,6 +615,35 @@ def test_near_duplicates(spark, docs, nothing, corpus):
     assert sorted(r["doc_id"] for r in kept.collect()) == sorted(r[0] for r, c in zip(corpus, best) if r[0] == c)
 
 
+def test_near_duplicates_by_fingerprint(spark):
+    """The stage of the pipeline also takes what op10 links: fingerprints within 3 bits, at a similarity below 0.8."""
+    rng = np.random.default_rng(5)
+    rows = [(1, "alpha beta gamma delta"), (2, None), (3, " "), (4, "one two three four five six seven")]
+    for k in range(30):  # an original, and a copy with as many words replaced as leave a similarity below 0.8
+        ws = [f"v{k}w{i}" for i in range(300)]
+        rows.append((100 + 2 * k, " ".join(ws)))
+        for p in rng.choice(60, 7, replace=False) * 5:
+            ws[p] = f"x{rng.integers(1000)}"
+        rows.append((101 + 2 * k, " ".join(ws)))
+    # lines that repeat outweigh the endings, so the fingerprints are equal and the similarity is far below 0.8
+    lines = " ".join(f"line{i}" for i in range(11)) + " "
+    rows += [(500 + k, lines * 60 + " ".join(f"end{k}w{i}" for i in range(20))) for k in range(3)]
+    sets, fps = [shingle_set(t) for _, t in rows], [fingerprint(t) for _, t in rows]
+    like = lambda i, j: words_of(rows[i][1]) == words_of(rows[j][1]) or len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]) > 0
+    linked = lambda i, j: like(i, j) or bool(sets[i] & sets[j]) and (fps[i] ^ fps[j]).bit_count() <= 3
+    ids = [r[0] for r in rows]
+    want, before = components(ids, linked), components(ids, like)
+    assert sum(x != y for x, y in zip(want, before)) >= 5  # some of the copies and two of the repeated lines
+    df = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3)
+    for block in (512, 2):
+        got = {r["doc_id"]: r["component_id"] for r in neardup.near_components(df, block=block, bits=3).collect()}
+        assert [got.get(i, i) for i in ids] == want
+    assert sorted(r["doc_id"] for r in simhash.keep_one(df).collect()) == [i for i, c in zip(ids, want) if i == c]
+    # equal fingerprints of texts that share nothing are chance
+    apart = [np.array([1, 2], np.uint64), np.array([3], np.uint64)]
+    assert not neardup.cluster_forest(np.array([1, 2]), apart, np.zeros(2, np.uint64), np.full(2, 2), 0.8, 3)
+
+
 def test_registered(spark, sf):
     q = queries.queries()
     assert {k.split("_")[0] for k in q} == {*(f"op{n}" for n in range(1, 11)), "pipeline"}
